@@ -59,10 +59,33 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return plan(read(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op6_attention_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .lm_scoring import score_documents
+
+    common.ship(spark)
+    return score_documents(read(spark, sf_dir, "documents"), _vocabulary())
+
+
+def op7_pigeonring_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .near_dedup import near_duplicates
+
+    common.ship(spark)
+    return near_duplicates(read(spark, sf_dir, "documents")).select("doc_id", "fingerprint", "component_id", "group_size")
+
+
+def op10_edit_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .line_dedup import dedup_lines
+
+    common.ship(spark)
+    kept = dedup_lines(read(spark, sf_dir, "documents").select("doc_id", "text"))
+    return kept.select("doc_id", "n_lines", "n_removed", F.octet_length("text").cast("long").alias("n_bytes_kept"), F.sha2("text", 256).alias("kept_sha256"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
         op1_harmonic_packing, op2_collision_counting, op4_hyperdimensional_language, op5_host_reputation, op8_wav_fingerprints, op9_source_mix,
+        op6_attention_scores, op7_pigeonring_simhash, op10_edit_line_dedup,
     )
 }
 
