@@ -73,6 +73,17 @@ def ship(spark: SparkSession) -> None:
     sc._llm_shipped = True
 
 
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """The names with as many underscores in front as keep them apart from ``df``'s."""
+    have = {c.lower() for c in df.columns}
+    out = []
+    for n in names:
+        while n.lower() in have:
+            n = "_" + n
+        out.append(n)
+    return out
+
+
 def n_buckets(spark: SparkSession, least: int = 12) -> int:
     """Exchange width: Spark's own, so it follows the cluster and the input."""
     return max(least, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
@@ -102,7 +113,7 @@ def _chunk_batches(batches):
                 "ids": [np.array([0 if i is None else i for i in ids], np.int64).tobytes()],
                 "known": [known.tobytes()],
                 "lens": [lens.tobytes()],
-                "payload": [zstandard.ZstdCompressor(level=1).compress(b"".join(texts))],
+                "payload": [zstandard.ZstdCompressor(level=3).compress(b"".join(texts))],
             }
         )
         ids, texts, total, seq = [], [], 0, seq + 1

@@ -29,6 +29,8 @@ from pyspark.sql import functions as F
 
 DIM, GRAM, SEED, SYMBOLS = 1024, 3, 11, 512
 HELD_MODULUS, HELD = 4, 2
+#: Cosine below which a text is like no language at all.
+LEAST_SCORE = 0.02
 
 
 @lru_cache(maxsize=1)
@@ -117,35 +119,52 @@ def prototypes(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang
     return {r["lang"]: np.frombuffer(bytes(r["vec"]), np.float64) for r in sorted(merged, key=lambda r: r["lang"])}
 
 
-def predict(docs: DataFrame, profiles: dict[str, np.ndarray], id_col: str = "doc_id", text: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
-    """``doc_id, held_out, lang_pred, score`` and the columns ``keep``."""
-    names = list(profiles)
-    unit = np.array([v / max(np.sqrt((v * v).sum()), 1e-12) for v in profiles.values()]) if names else np.zeros((0, DIM))
-    rows = docs.select(F.col(id_col).alias("__id"), F.col(text).cast("string").alias("__text"), *[F.col(f"`{c}`") for c in keep])
-    clash = {"doc_id", "held_out", "lang_pred", "score"} & set(keep)
-    if clash:
-        raise ValueError(f"kept columns clash with results: {sorted(clash)}")
-    fields = [f"`{c}` {t}" for c, t in docs.dtypes if c in keep]
-    schema = ", ".join(["doc_id long", "held_out boolean", "lang_pred string", "score double", *fields])
+def _classify(texts: list[str | None], names: list[str], unit: np.ndarray) -> tuple[list[str], list[float]]:
+    lang, score = [], []
+    for t in texts:
+        codes, counts = grams(t) if t and names else ((), ())
+        if not len(codes):
+            lang.append("und")
+            score.append(0.0)
+            continue
+        v = bundle(codes, counts)
+        cos = unit @ v / max(float(np.sqrt((v * v).sum())), 1e-12)
+        best = int(np.argmax(np.round(cos, 12)))
+        lang.append(names[best])
+        score.append(float(min(1.0, max(0.0, cos[best]))))
+    return lang, score
+
+
+def _units(profiles: dict[str, np.ndarray]) -> tuple[list[str], np.ndarray]:
+    unit = [v / max(np.sqrt((v * v).sum()), 1e-12) for v in profiles.values()]
+    return list(profiles), np.array(unit) if unit else np.zeros((0, DIM))
+
+
+def predict(docs: DataFrame, profiles: dict[str, np.ndarray], id_col: str = "doc_id", text: str = "text") -> DataFrame:
+    """``doc_id, held_out, lang_pred, score`` of every row."""
+    names, unit = _units(profiles)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids, lang, score = b.column(0).to_pylist(), [], []
-            for t in b.column(1).to_pylist():
-                codes, counts = grams(t) if t and names else ((), ())
-                if not len(codes):
-                    lang.append("und")
-                    score.append(0.0)
-                    continue
-                v = bundle(codes, counts)
-                cos = unit @ v / max(float(np.sqrt((v * v).sum())), 1e-12)
-                best = int(np.argmax(np.round(cos, 12)))
-                lang.append(names[best])
-                score.append(float(min(1.0, max(0.0, cos[best]))))
-            done = [pa.array(ids, pa.int64()), pa.array(_held(ids), pa.bool_()), pa.array(lang, pa.string()), pa.array(score, pa.float64())]
-            yield pa.RecordBatch.from_arrays([*done, *b.columns[2:]], ["doc_id", "held_out", "lang_pred", "score", *b.schema.names[2:]])
-
-    return rows.withColumn("__id", F.col("__id").cast("long")).mapInArrow(run, schema)
+            lang, score = _classify(b.column(1).to_pylist(), names, unit)
+            held = _held(b.column(0).to_pylist())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(held, pa.bool_()), pa.array(lang, pa.string()), pa.array(score, pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
+
+    rows = docs.select(F.col(id_col).cast("long"), F.col(text).cast("string"))
+    return rows.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+
+
+def keep_identified(docs: DataFrame, profiles: dict[str, np.ndarray], text: str = "text", least: float = LEAST_SCORE) -> DataFrame:
+    """The rows whose text has a letter and is at least that near to some prototype, unchanged."""
+    names, unit = _units(profiles)
+    at = docs.columns.index(text)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            lang, score = _classify(b.column(at).to_pylist(), names, unit)
+            yield b.filter(pa.array([x != "und" and s >= least for x, s in zip(lang, score, strict=True)], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
 
 
 def identify(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:

@@ -18,7 +18,7 @@ as the bound cannot be met.  Links close to classes by label spreading.
 Cases: null text gives no lines and stays null; empty lines are kept; equal lines
 need no edit join; rows that share an id are treated as one document; null ids
 stand before all others; an empty table gives no rows; further columns are kept
-as they are (names that begin with ``__line`` are refused).  No cap: lines that
+as they are.  No cap: lines that
 share a segment and length are all compared.
 """
 
@@ -30,8 +30,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import n_buckets, spool
+from .common import n_buckets, spool, unused
 from .near_dedup import components
 
 EDITS, LEAST, NO_ID = 2, 24, -(1 << 63)
@@ -259,35 +260,33 @@ def line_classes(docs: DataFrame, id_col: str, text: str, edits: int = EDITS, le
     return first.groupBy(F.col("f.doc").alias("doc")).agg(F.sort_array(F.collect_list(F.col("f.no"))).alias("nos"))
 
 
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", edits: int = EDITS, least: int = LEAST) -> DataFrame:
-    """``docs`` with removed lines cut from ``text``; adds ``n_lines, n_removed``."""
-    kept = line_classes(docs, id_col, text, edits, least).withColumnRenamed("doc", "__line_doc").withColumnRenamed("nos", "__line_nos")
-    clash = {c for c in docs.columns if c.startswith("__line")} | ({"n_lines", "n_removed"} & set(docs.columns))
-    if clash:
-        raise ValueError(f"reserved names: {sorted(clash)}")
-    both = docs.join(kept, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col("__line_doc"), "left").drop("__line_doc")
+def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", edits: int = EDITS, least: int = LEAST, report: bool = True) -> DataFrame:
+    """``docs`` with removed lines cut from ``text``; with ``report`` adds ``n_lines, n_removed``
+    (with underscores in front where ``docs`` has such columns)."""
+    doc, stay, n, gone = unused(docs, "line_doc", "line_nos", "n_lines", "n_removed")
+    kept = line_classes(docs, id_col, text, edits, least).select(F.col("doc").alias(doc), F.col("nos").alias(stay))
+    both = docs.withColumn(text, F.col(f"`{text}`").cast("string"))
+    both = both.join(kept, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col(doc), "left").drop(doc)
     names = both.columns
-    at, last = names.index(text), names.index("__line_nos")
+    at, last = names.index(text), names.index(stay)
+    out_names = [c for c in names if c != stay] + [n, gone] * report
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out, total, gone = [], [], []
+            texts, total, cut = [], [], []
             for t, nos in zip(b.column(at).cast(pa.binary()).to_pylist(), b.column(last).to_pylist(), strict=True):
                 if t is None:
-                    out.append(None)
+                    texts.append(None)
                     total.append(0)
-                    gone.append(0)
+                    cut.append(0)
                     continue
-                stay, split = set(nos or ()), t.split(b"\n")
-                left = [x for k, x in enumerate(split) if len(x) < least or k in stay]
-                out.append(b"\n".join(left))
+                own, split = set(nos or ()), t.split(b"\n")
+                left = [x for k, x in enumerate(split) if len(x) < least or k in own]
+                texts.append(b"\n".join(left))
                 total.append(len(split))
-                gone.append(len(split) - len(left))
-            cols = [pa.array(out, pa.binary()).cast(pa.string()) if k == at else c for k, c in enumerate(b.columns) if k != last]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(total, pa.int64()), pa.array(gone, pa.int64())], [n for n in names if n != "__line_nos"] + ["n_lines", "n_removed"])
+                cut.append(len(split) - len(left))
+            cols = [pa.array(texts, pa.binary()).cast(pa.string()) if k == at else c for k, c in enumerate(b.columns) if k != last]
+            yield pa.RecordBatch.from_arrays([*cols, *[pa.array(total, pa.int64()), pa.array(cut, pa.int64())] * report], out_names)
 
-    from pyspark.sql import types as T
-
-    both = both.withColumn(text, F.col(f"`{text}`").cast("string"))
-    fields = [f for f in both.schema.fields if f.name != "__line_nos"]
-    return both.mapInArrow(run, T.StructType([*fields, T.StructField("n_lines", T.LongType()), T.StructField("n_removed", T.LongType())]))
+    fields = [f for f in both.schema.fields if f.name != stay]
+    return both.mapInArrow(run, T.StructType([*fields, *[T.StructField(c, T.LongType()) for c in (n, gone)] * report]))

@@ -14,8 +14,7 @@ are written once and reread; the texts are counted in a single scan.
 
 Cases: null text has size 0 and is taken 0 words; null source is a source of its
 own, last in order; sources of size 0 have target 0; equal rows share a hash and
-are treated alike; an empty table gives no rows; clashing names among further
-columns are refused by ``mixed_documents`` only if they are its own two.
+are treated alike; an empty table gives no rows; further columns are kept.
 """
 
 from __future__ import annotations
@@ -23,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, spool
+from .common import WORD_RE, spool, unused
 
 WEIGHTS, BUDGET, MOST, SEEDS = (3, 1, 2), 1.5, 2.0, 32
 
@@ -74,9 +73,8 @@ def mixed_documents(docs: DataFrame, text: str = "text", source: str = "source",
     """The mix itself: each row of ``docs`` as often as the plan takes it."""
     chosen = plan(docs, text, source, id_col, **how)
     chosen = chosen.where("copies > 0").groupBy(F.col("doc_id").alias("__id"), F.col("h").alias("__h")).agg(F.max("copies").alias("__copies"))
-    hashed = docs.withColumn("__h", F.xxhash64(F.col(id_col), F.col(text)))
-    clash = {"__h", "__id", "__copies"} & set(docs.columns)
-    if clash:
-        raise ValueError(f"reserved names: {sorted(clash)}")
-    both = hashed.alias("d").join(chosen.alias("c"), F.col(f"d.{id_col}").eqNullSafe(F.col("c.__id")) & (F.col("d.__h") == F.col("c.__h")))
-    return both.select("d.*", "c.__copies").withColumn("__copies", F.explode(F.sequence(F.lit(1), "__copies"))).select(*docs.columns)
+    h, i, n = unused(docs, "mix_hash", "mix_id", "mix_copies")
+    chosen = chosen.select(F.col("__h").alias(h), F.col("__id").alias(i), F.col("__copies").alias(n))
+    own = F.xxhash64(F.col(id_col), F.col(text))
+    both = docs.join(chosen, F.col(id_col).eqNullSafe(F.col(i)) & (own == F.col(h)))
+    return both.withColumn(n, F.explode(F.sequence(F.lit(1), n))).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import spool
+from .common import spool, unused
 
 WORDS, BITS, SEGMENTS, SMALL, SEED = 3, 2, 8, 16, 42
 
@@ -149,6 +149,6 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", **how) -> DataFrame:
     """``docs`` with one row of each component: the one named by it."""
     found = near_duplicates(docs, id_col, text, **how)
-    stay = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__stay")).distinct()
-    kept = docs.join(stay, F.col(id_col).eqNullSafe(F.col("__stay")), "left_semi")
-    return kept.dropDuplicates([id_col])
+    (name,) = unused(docs, "stay")
+    stay = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(stay, F.col(id_col).eqNullSafe(F.col(name)), "left_semi").dropDuplicates([id_col])

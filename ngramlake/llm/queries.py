@@ -11,7 +11,7 @@ from . import common
 from .common import read
 
 
-def _vocabulary() -> str:
+def vocabulary() -> str:
     import public_tokenizers
 
     return public_tokenizers.path("word_bpe_49k.json")
@@ -21,7 +21,7 @@ def op1_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack_documents
 
     common.ship(spark)
-    return pack_documents(read(spark, sf_dir, "documents"), _vocabulary())
+    return pack_documents(read(spark, sf_dir, "documents"), vocabulary())
 
 
 def op2_collision_counting(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,6 +31,13 @@ def op2_collision_counting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nearest(read(spark, sf_dir, "embeddings"))
 
 
+def op3_suffix_merge_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_dedup import cut_repeats
+
+    common.ship(spark)
+    return cut_repeats(read(spark, sf_dir, "documents"), keep_text=False)
+
+
 def op4_hyperdimensional_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .language_id import identify
 
@@ -63,7 +70,7 @@ def op6_attention_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .lm_scoring import score_documents
 
     common.ship(spark)
-    return score_documents(read(spark, sf_dir, "documents"), _vocabulary())
+    return score_documents(read(spark, sf_dir, "documents"), vocabulary())
 
 
 def op7_pigeonring_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -84,7 +91,7 @@ def op10_edit_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
-        op1_harmonic_packing, op2_collision_counting, op4_hyperdimensional_language, op5_host_reputation, op8_wav_fingerprints, op9_source_mix,
+        op1_harmonic_packing, op2_collision_counting, op3_suffix_merge_dedup, op4_hyperdimensional_language, op5_host_reputation, op8_wav_fingerprints, op9_source_mix,
         op6_attention_scores, op7_pigeonring_simhash, op10_edit_line_dedup,
     )
 }
