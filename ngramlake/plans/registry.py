@@ -1,4 +1,8 @@
 """All registered queries of the search engine and their DuckDB counterparts."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from __future__ import annotations
+
+from ngramlake.plans import oracles, relational, workloads
+
+QUERIES = workloads.QUERIES | relational.QUERIES
+ORACLES = oracles.build() | relational.ORACLES
