@@ -8,7 +8,8 @@ each pattern the states none of which is worse in both numbers; and looks up the
 distinct patterns.  Scores of prefixes never fall below those of wholes, and
 prefixes of occurring patterns occur, so nothing is lost.
 
-All steps are one lazy plan for short queries; ``spool_every`` cuts longer ones.
+A step's candidates and what the lookup finds are written to the shared folder: each
+is read more than once, and the lineage of later steps stays short.
 """
 
 from __future__ import annotations
@@ -93,7 +94,7 @@ def known_absent(cand: DataFrame, top: DataFrame, kgrams: DataFrame, k: int) ->
 def soft_search(
     queries: DataFrame, theta: float, near: DataFrame, find: Finder, longest: int, edits: Edits | None = None, base: float = BASE,
     hard: bool = False, max_len: int | None = None, prune: Prune | None = None, kgrams: tuple[DataFrame, list[DataFrame]] | None = None,
-    index: WindowIndex | None = None, spool_every: int = 0, expand: str = "lazy", edge_insertions: str = "include", trace: list | None = None,
+    index: WindowIndex | None = None, expand: str = "lazy", edge_insertions: str = "include", trace: list | None = None,
 ) -> DataFrame:
     """``query_id, m, key, similarity, hits`` of all patterns at or above ``theta``.
 
@@ -132,9 +133,12 @@ def soft_search(
         if kgrams and prune.kgram:
             for k, table in zip((2, 3), kgrams[1], strict=False):
                 cand = known_absent(cand, kgrams[0], table, k)
-        found = find(cand)
-        empty = cand.where(F.col("key") == "").withColumn("hits", F.lit(0).cast("long"))
-        return cand.join(found.select("key", F.col("hits").cast("long")), "key").select(*cand.columns, "hits").unionByName(empty)
+        cand = spool(cand, "candidates")
+        found = spool(find(cand).select("key", F.col("hits").cast("long")), "found")
+        kept = cand.join(found, "key").select(*cand.columns, "hits")
+        if not dele:
+            return kept
+        return kept.unionByName(cand.where(F.col("key") == "").withColumn("hits", F.lit(0).cast("long")))
 
     done: list[DataFrame] = []
     columns = ["query_id", "tokens", "m", "key", "s", "lp", "e"]
@@ -161,8 +165,6 @@ def soft_search(
         if trace is not None:
             kept = spool(kept, "occurring")
             trace.append((i, cand, kept))
-        elif spool_every and i % spool_every == 0:
-            kept = spool(kept, "frontier")
         done.append(kept.where(F.col("m") == i))
         rest = kept.where(F.col("m") > i)
         if prune.last_bits and i < longest:

@@ -30,22 +30,25 @@ def key(n: int, alias: str = "") -> str:
     return " || ' ' || ".join(f"{alias}t{k}" for k in range(1, n + 1))
 
 
-def near(words: str, theta: float, vocabulary: str = "select token from v") -> str:
-    """``n(tok, nb, cos)``: neighbours of the tokens of a subquery ``words(token)``."""
-    sums = ", ".join(f"sum(e[{d}]) as d{d}" for d in range(1, DIM + 1))
+def near(words: str, theta: float, vocabulary: str = "select token from v", z: str = "") -> str:
+    """``n(tok, nb, cos)``: neighbours of the tokens of a subquery ``words(token)``;
+    ``z`` goes before the names."""
+    sums = ", ".join(f"sum(ev[{d}]) as d{d}" for d in range(1, DIM + 1))
     dims = ", ".join(f"d{d}" for d in range(1, DIM + 1))
     return f"""
-e as (select vec_id, embedding::DOUBLE[] as e from embeddings),
-words as (select distinct token from ({words})),
-gr as (select token, unnest(list_concat(flatten(list_transform([3, 4, 5], lambda n: list_transform(range(1, greatest(length(s) - n + 2, 1)), lambda i: substr(s, i, n)))), [s])) as g
-       from (select token, '<' || token || '>' as s from ({vocabulary} union select token from words))),
-gv as (select token, [{dims}] as x from (select token, {sums} from gr join e on vec_id = ('0x' || substr(md5(g), 1, 8))::BIGINT % (select count(*) from embeddings) group by token)),
-gu as (select token, list_transform(x, lambda y: y / sqrt(list_inner_product(x, x))) as u from gv),
-num as (select e from e where vec_id = ('0x' || substr(md5('#num'), 1, 8))::BIGINT % (select count(*) from embeddings)),
-gn as (select token, case when regexp_full_match(token, '[0-9]+') then list_transform(u, lambda y, i: y + 2 * ne[i]) else u end as x from gu, (select e as ne from num)),
-lex as (select token, list_transform(x, lambda y: y / sqrt(list_inner_product(x, x))) as u from gn),
-n as (select w.token as tok, l.token as nb, round(list_inner_product(w.u, l.u), 6) as cos
-      from (select lex.* from lex join words using (token)) w, (select lex.* from lex join ({vocabulary}) using (token)) l where round(list_inner_product(w.u, l.u), 6) >= {theta})"""
+{z}e as (select vec_id, embedding::DOUBLE[] as ev from embeddings),
+{z}nn as (select count(*) as nn from embeddings),
+{z}words as (select distinct token from ({words})),
+{z}gr as (select token, unnest(list_concat(flatten(list_transform([3, 4, 5], lambda n: list_transform(range(1, greatest(length(s) - n + 2, 1)), lambda i: substr(s, i, n)))), [s])) as g
+       from (select token, '<' || token || '>' as s from ({vocabulary} union select token from {z}words))),
+{z}gb as (select token, ('0x' || substr(md5(g), 1, 8))::BIGINT % nn as bucket from {z}gr, {z}nn),
+{z}gv as (select token, [{dims}] as x from (select token, {sums} from {z}gb join {z}e on vec_id = bucket group by token)),
+{z}gu as (select token, list_transform(x, lambda y: y / sqrt(list_inner_product(x, x))) as u from {z}gv),
+{z}num as (select ev as ne from {z}e where vec_id = (select ('0x' || substr(md5('#num'), 1, 8))::BIGINT % nn from {z}nn)),
+{z}gn as (select token, case when regexp_full_match(token, '[0-9]+') then list_transform(u, lambda y, i: y + 2 * ne[i]) else u end as x from {z}gu, {z}num),
+{z}lex as (select token, list_transform(x, lambda y: y / sqrt(list_inner_product(x, x))) as u from {z}gn),
+{z}n as (select w.token as tok, l.token as nb, round(list_inner_product(w.u, l.u), 6) as cos
+      from (select x.* from {z}lex x join {z}words using (token)) w, (select x.* from {z}lex x join ({vocabulary}) using (token)) l where round(list_inner_product(w.u, l.u), 6) >= {theta})"""
 
 
 def cost(cs: list[str]) -> str:
@@ -143,20 +146,14 @@ def _contam(items: str, search: bool) -> str:
     parts = [C, B, V, items, windows, exact]
     hit = "select key from ex"
     if search:
-        parts += ["q as (select distinct key as query_id, qt from w where key not in (select key from ex))", *[grams(n) for n in range(1, 11)], near("select unnest(qt) as token from w", 0.6).replace("\ne as", "\ne as"), chain(10, 0.6)]
+        parts += ["q as (select distinct key as query_id, qt from w where key not in (select key from ex))", *[grams(n) for n in range(1, 11)], near("select unnest(qt) as token from w", 0.6), chain(10, 0.6)]
         hit += " union select query_id from c10"
     return f"with {', '.join(parts)}, hit as ({hit}), eta as (select item_id, count(*) as windows, round(avg((h.key is not null)::INT), 6) as eta from w left join (select distinct key from hit) h using (key) group by 1)"
 
 
 def _planted() -> str:
     """Items with the 15th token swapped for its nearest other word."""
-    lex = near("select t[15] as token from b where len(t) >= 20", 0.6)
-    for name in ("e as", "words as", "gr as", "gv as", "gu as", "num as", "gn as", "lex as", "n as"):
-        lex = lex.replace(f"\n{name}", f"\nz{name}")
-    for name in ("words", "gr", "gv", "gu", "num", "gn", "lex"):
-        lex = lex.replace(f"from {name} ", f"from z{name} ").replace(f"from {name})", f"from z{name})").replace(f"join {name} ", f"join z{name} ")
-    lex = lex.replace("join e on", "join ze on").replace("from e where", "from ze where").replace("lex.*", "zlex.*").replace("from zgr join e ", "from zgr join ze ")
-    lex = lex.replace("from num)", "from znum)")
+    lex = near("select t[15] as token from b where len(t) >= 20", 0.6, z="z")
     best = "best as (select tok, nb from (select tok, nb, row_number() over (partition by tok order by cos desc, nb) as r from zn where tok <> nb) where r = 1)"
     x = "x as (select item_id, case when nb is null then t else list_concat(t[1:14], [nb], t[16:]) end as t from b left join best on t[15] = tok where len(t) >= 20)"
     return f"{lex}, {best}, {x}"
@@ -228,7 +225,7 @@ tf as (select doc_id, token, count(*) as tf from (select doc_id, unnest(t) as to
 df as (select token, count(*) as df from tf group by 1),
 s as (select query_id, doc_id, round(sum((1 + ln(tf)) * ln((select count(*) from c) / df)), 6) as score from terms join tf using (token) join df using (token) group by 1, 2)
 select query_id, doc_id, score, row_number() over (partition by query_id order by score desc, doc_id) as rank from s qualify rank <= 10"""
-    o["dense_topk"] = "with e as (select vec_id, embedding::DOUBLE[] as e from embeddings), s as (select q.vec_id as query_id, r.vec_id, round(list_cosine_similarity(q.e, r.e), 6) as score from e q join e r on q.vec_id <> r.vec_id where q.vec_id % 100 = 0) select query_id, vec_id, score, row_number() over (partition by query_id order by score desc, vec_id) as rank from s qualify rank <= 10"
+    o["dense_topk"] = "with v as (select vec_id, embedding::DOUBLE[] as ev from embeddings), s as (select q.vec_id as query_id, r.vec_id, round(list_cosine_similarity(q.ev, r.ev), 6) as score from v q join v r on q.vec_id <> r.vec_id where q.vec_id % 100 = 0) select query_id, vec_id, score, row_number() over (partition by query_id order by score desc, vec_id) as rank from s qualify rank <= 10"
     ranked = f"{_bm25(10, 1000)}, {HELD}, h as (select query_id, rank from ranked join held using (query_id, doc_id)), n as (select query_id, count(*) as n from held group by 1)"
     at = lambda k: f"(select count(*) from h where h.query_id = n.query_id and rank <= {k})"
     o["ir_p_at_k"] = f"{ranked} select query_id, round({at(1)} / 1, 6) as p1, round({at(20)} / 20, 6) as p20 from n"

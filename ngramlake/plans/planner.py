@@ -14,16 +14,14 @@ class Plan:
     neighbours: str  # "exact" or "lsh"
     expand: str  # "lazy" always unless lookups are to be counted literally
     cutoff: int  # occurrences below which a pattern is finished on its places
-    spool_every: int
 
 
-def choose(index: WindowIndex, vocabulary: int, longest: int, edits: bool, memory: int = FENCE_BYTES, matmul_limit: float = 1e13, query_tokens: int = 1000, dim: int = 64) -> Plan:
+def choose(index: WindowIndex, vocabulary: int, memory: int = FENCE_BYTES, matmul_limit: float = 1e13, query_tokens: int = 1000, dim: int = 64) -> Plan:
     """Fences are broadcast only below ``memory``; neighbours are exact while the products
-    fit; long or edited queries cut their lineage every few steps."""
+    fit."""
     return Plan(
         "broadcast" if fence_bytes(index) <= memory else "two-level",
         "exact" if vocabulary * query_tokens * dim <= matmul_limit else "lsh",
         "lazy",
         50,
-        3 if edits else (5 if longest > 6 else 0),
     )

@@ -391,7 +391,7 @@ def _soft_arm(spark, sf, items):
     exact = spool(contamination.exact_matches(w, finder_of(spark, sf)), "exact")
     tok = w.select(F.explode(F.split("key", SEP)).alias("token"))
     near = spool(vectors.neighbors(tok, vocab_of(spark, sf), table(spark, sf, "embeddings"), contamination.SIMILAR), "near")
-    search = lambda q: soft.soft_search(q, contamination.SIMILAR, near, finder_of(spark, sf), contamination.SPAN, spool_every=5)
+    search = lambda q: soft.soft_search(q, contamination.SIMILAR, near, finder_of(spark, sf), contamination.SPAN)
     matched = spool(contamination.soft_matches(w, exact, search), "matched")
     return contamination.coverage(w, exact), contamination.coverage(w, matched)
 
@@ -433,7 +433,7 @@ def template_leak(spark, sf):
         near = vectors.neighbors(w.select(F.explode(F.split("key", SEP)).alias("token")), held.select(F.explode("tokens").alias("token")).distinct(), table(spark, sf, "embeddings"), contamination.SIMILAR)
         rest = w.select("key").distinct().join(exact, "key", "left_anti")
         t = F.split("key", SEP)
-        found = soft.soft_search(rest.select(F.col("key").alias("query_id"), t.alias("tokens"), F.size(t).alias("m")), contamination.SIMILAR, spool(near, "near"), find, contamination.SPAN, spool_every=5)
+        found = soft.soft_search(rest.select(F.col("key").alias("query_id"), t.alias("tokens"), F.size(t).alias("m")), contamination.SIMILAR, spool(near, "near"), find, contamination.SPAN)
         return spool(w.join(found.select(F.col("query_id").alias("key"), F.col("key").alias("match"), "similarity"), "key"), "template")
 
     rows = once(spark, (sf, "template"), build)
