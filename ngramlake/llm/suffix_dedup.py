@@ -47,7 +47,7 @@ _POWERS: list[np.ndarray] = []
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if not _POWERS or len(_POWERS[0]) < n:
-        size = max(n, 1 << 20)
+        size = max(n, BLOCK + (1 << 17))
         _POWERS[:] = [np.cumprod(np.concatenate([[np.uint64(1)], np.full(size - 1, b, np.uint64)]), dtype=np.uint64) for b in (_ODD, _ODD_INVERSE)]
     return _POWERS[0][:n], _POWERS[1][:n]
 
@@ -66,14 +66,30 @@ def gram_hashes(x: np.ndarray, gram: int = GRAM) -> np.ndarray:
     return h
 
 
+#: Bytes whose hashes are held at once.
+BLOCK = 1 << 19
+
+
 def anchors(x: np.ndarray, sizes: np.ndarray, span: int = SPAN, gram: int = GRAM):
     """Anchors of texts laid end to end: hash, place, first and last string start."""
+    out, at, first, ends = [], 0, 0, np.cumsum(sizes)
+    while first < len(sizes):  # some whole texts at a time
+        last = max(first + 1, int(np.searchsorted(ends, at + BLOCK, "right")))
+        got = _anchors(x[at : ends[last - 1]], sizes[first:last], span, gram)
+        out.append((got[0], *[c + at for c in got[1:]]))
+        first, at = last, int(ends[last - 1])
+    if not out:
+        return np.empty(0, np.uint64), *[np.empty(0, np.int64)] * 3
+    return tuple(np.concatenate(c) for c in zip(*out, strict=True))
+
+
+def _anchors(x: np.ndarray, sizes: np.ndarray, span: int, gram: int):
     none = np.empty(0, np.int64)
     if len(x) < span:
         return np.empty(0, np.uint64), none, none, none
     h = gram_hashes(x, gram)
     width, have = span - gram + 1, 1
-    value, place = h, np.arange(len(h), dtype=np.int64)
+    value, place = h, np.arange(len(h), dtype=np.int32 if len(h) < 1 << 31 else np.int64)
     while have < width:  # leftmost minimum of doubling windows
         by = min(have, width - have)
         n = len(value) - by
@@ -81,10 +97,9 @@ def anchors(x: np.ndarray, sizes: np.ndarray, span: int = SPAN, gram: int = GRAM
         value, place = np.where(right, value[by:], value[:n]), np.where(right, place[by:], place[:n])
         have += by
     ends = np.cumsum(sizes)
-    start = np.arange(len(place))
     text = np.repeat(np.arange(len(sizes)), sizes)[: len(place)]
-    ok = start + span <= ends[text]
-    s, p, t = start[ok], place[ok], text[ok]
+    ok = np.arange(len(place)) + span <= ends[text]
+    s, p, t = np.flatnonzero(ok), place[ok].astype(np.int64), text[ok]
     if not len(s):
         return np.empty(0, np.uint64), none, none, none
     new = np.flatnonzero(np.concatenate([[True], (p[1:] != p[:-1]) | (t[1:] != t[:-1])]))
