@@ -9,7 +9,10 @@ segment, bytes).  For each length not above its own and each segment, a line
 probes the substrings that could hold that segment if it is the one left whole:
 the shifts that the edits before and after it allow.  Keys travel as sorted runs
 of hashes, one run for each task and range, so equal lines of a task travel once;
-a range is intersected in one task, whose size is that of the range.
+a range is intersected in one task, whose size is that of the range.  A line's name
+holds a sketch of its bytes; pairs whose sketches differ in more bits than the
+edits can flip never leave that task, so a family of lines that share a segment
+but differ elsewhere does not become a table of pairs.
 
 *Verification.*  Only candidates' texts are fetched.  Common ends are cut off and
 the rest goes through a bit-parallel edit distance in a band that gives up as soon
@@ -124,6 +127,13 @@ def within(a: bytes, b: bytes, edits: int = EDITS) -> bool:
     return score <= edits
 
 
+def sketches(lines: list[bytes]) -> np.ndarray:
+    """32 parity bits of each line's bytes by their low five bits: an edit flips at most two."""
+    sizes = np.fromiter(map(len, lines), np.int64, len(lines))
+    bits = np.left_shift(np.uint32(1), np.frombuffer(b"".join(lines), np.uint8).astype(np.uint32) & np.uint32(31), dtype=np.uint32)
+    return np.bitwise_xor.reduceat(bits, np.cumsum(sizes) - sizes)
+
+
 def _runs(buckets: int, edits: int, least: int):
     """Texts to sorted runs: distinct lines (kind 0) and their keys (kind 1)."""
 
@@ -134,8 +144,18 @@ def _runs(buckets: int, edits: int, least: int):
         seen: dict[bytes, tuple[int, int]] = {}
         keys: list[list[int]] = [[], []]
         refs: list[list[int]] = [[], []]
+        fresh: list[bytes] = []
+        marks: list[np.ndarray] = []
+        held = 0
         edges = (np.arange(1, buckets, dtype=np.float64) / buckets * 2.0**64).astype(np.uint64)
 
+        def mark() -> None:
+            nonlocal held
+            if fresh:
+                marks.append(sketches(fresh))
+            fresh.clear()
+            held = 0
+
         def parts(by: np.ndarray, kind: int, *cols: np.ndarray) -> Iterator[tuple]:
             order = np.argsort(by, kind="stable")
             cut = np.concatenate([[0], np.searchsorted(by[order], edges), [len(by)]])
@@ -146,10 +166,14 @@ def _runs(buckets: int, edits: int, least: int):
         def flush() -> pa.RecordBatch:
             ids = np.frombuffer(b"".join(seen), ">u8").reshape(-1, 2).astype(np.uint64)
             at = np.array(list(seen.values()), np.int64).reshape(-1, 2)
+            mark()
+            # a line goes by 32 bits of its hash and its sketch; the other 64 keep it apart
+            ids[:, 0] = (ids[:, 0] & np.uint64(0xFFFFFFFF00000000)) | np.concatenate(marks)
             rows = list(parts(ids[:, 0], 0, ids[:, 1], at[:, 0], at[:, 1]))
             k = np.array(keys[0] + keys[1], np.uint64)
             side = np.concatenate([np.zeros(len(keys[0]), np.uint8), np.ones(len(keys[1]), np.uint8)])
-            rows += parts(k, 1, np.array(refs[0] + refs[1], np.uint64), side)
+            rows += parts(k, 1, ids[np.array(refs[0] + refs[1], np.int64), 0], side)
+            marks.clear()
             seen.clear()
             for x in (*keys, *refs):
                 x.clear()
@@ -165,14 +189,18 @@ def _runs(buckets: int, edits: int, least: int):
                     if was is None:
                         seen[name] = (doc, no)
                         own, look = line_keys(line, plans, edits)
-                        ref = int.from_bytes(name[:8], "big")
+                        ref = len(seen) - 1
+                        fresh.append(line)
+                        held += len(line)
+                        if held > 1 << 20:
+                            mark()
                         keys[0] += own
                         keys[1] += look
                         refs[0] += [ref] * len(own)
                         refs[1] += [ref] * len(look)
                     elif (doc, no) < was:
                         seen[name] = (doc, no)
-                if len(keys[1]) > 2_000_000:
+                if len(keys[1]) > 400_000:
                     yield flush()
         if seen:
             yield flush()
@@ -199,7 +227,7 @@ def _first_lines(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(x[f].view(np.int64)) for x in (hi, lo, doc, no)], ["hi", "lo", "doc", "no"])
 
 
-def _meet(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _meet(batches: Iterable[pa.RecordBatch], edits: int) -> Iterator[pa.RecordBatch]:
     """Lines whose index and probe keys agree, each pair once for a range of keys."""
     key, ref, side = _columns(batches, (np.uint64, np.uint64, np.uint8))
     own, look = side == 0, side == 1
@@ -217,7 +245,8 @@ def _meet(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a = np.repeat(pr[at:to], n[at:to])
         inner = np.arange(len(a)) - np.repeat(ends[at:to] - n[at:to] - base, n[at:to])
         b = r[np.repeat(lo[at:to], n[at:to]) + inner]
-        differ = a != b
+        # far sketches cannot meet: only pairs that may lie within the edits leave the task
+        differ = (a != b) & (np.bitwise_count((a ^ b) & np.uint64(0xFFFFFFFF)) <= 2 * edits)
         pair = np.unique(np.stack([np.minimum(a, b)[differ], np.maximum(a, b)[differ]], 1), axis=0)
         yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(pair[:, i]).view(np.int64)) for i in (0, 1)], ["a", "b"])
         at = to
@@ -230,7 +259,7 @@ def line_classes(docs: DataFrame, id_col: str, text: str, edits: int = EDITS, le
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text).cast("string").alias("text")).where("text is not null")
     runs = spool(rows.mapInArrow(_runs(buckets, edits, least), RUNS), "line-runs")
     lines = spool(runs.where("kind = 0").repartition(buckets, "bucket").select("a", "b", "c", "d").mapInArrow(_first_lines, "hi long, lo long, doc long, no long"), "lines")
-    pairs = spool(runs.where("kind = 1").repartition(buckets, "bucket").select("a", "b", "c").mapInArrow(_meet, "a long, b long").distinct(), "line-pairs")
+    pairs = spool(runs.where("kind = 1").repartition(buckets, "bucket").select("a", "b", "c").mapInArrow(lambda x: _meet(x, edits), "a long, b long").distinct(), "line-pairs")
     wanted = pairs.select(F.col("a").alias("hi")).union(pairs.select("b")).distinct()
     places = lines.join(wanted, "hi", "left_semi").groupBy("doc").agg(F.collect_list(F.struct("no", "hi", "lo")).alias("want"))
 
@@ -253,7 +282,7 @@ def line_classes(docs: DataFrame, id_col: str, text: str, edits: int = EDITS, le
     left = texts.select(F.col("hi").alias("a"), F.col("line").alias("x"))
     right = texts.select(F.col("hi").alias("b"), F.col("line").alias("y"))
     links = pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
-    label = components(links)
+    label = components(spool(links, "line-links"))
     named = lines.join(label.withColumnRenamed("node", "hi"), "hi", "left")
     # lines without links keep both halves of their name apart
     first = named.groupBy(F.coalesce("label", "hi").alias("k"), F.when(F.col("label").isNull(), F.col("lo")).alias("k2")).agg(F.min(F.struct("doc", "no")).alias("f"))
