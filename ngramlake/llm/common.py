@@ -93,7 +93,7 @@ def n_buckets(spark: SparkSession, least: int = 12) -> int:
 CHUNK_SCHEMA = "chunk long, n int, ids binary, known binary, lens binary, payload binary"
 
 
-def _chunk_batches(batches):
+def _chunk_batches(batches, extra=None):
     import zstandard
     from pyspark import TaskContext
 
@@ -115,6 +115,7 @@ def _chunk_batches(batches):
                 "lens": [lens.tobytes()],
                 "payload": [zstandard.ZstdCompressor(level=3).compress(b"".join(texts))],
             }
+            | ({"extra": [extra(texts)]} if extra else {})
         )
         ids, texts, total, seq = [], [], 0, seq + 1
         return row
@@ -131,10 +132,13 @@ def _chunk_batches(batches):
         yield flush()
 
 
-def to_chunks(docs: DataFrame, id_col: str, text: str, name: str) -> DataFrame:
-    """Spool ``(id, text)`` as chunk rows; null text is empty, null ids are kept."""
+def to_chunks(docs: DataFrame, id_col: str, text: str, name: str, extra=None) -> DataFrame:
+    """Spool ``(id, text)`` as chunk rows; null text is empty, null ids are kept.
+
+    ``extra`` makes a binary column of that name from a chunk's texts."""
     rows = docs.select(F.col(id_col).cast("long"), F.col(text).cast("string"))
-    return spool(rows.mapInArrow(_chunk_batches, CHUNK_SCHEMA), name, "uncompressed")
+    kind = CHUNK_SCHEMA + ", extra binary" * bool(extra)
+    return spool(rows.mapInArrow(lambda b: _chunk_batches(b, extra), kind), name, "uncompressed")
 
 
 def open_chunk(n: int, ids: bytes, known: bytes, lens: bytes, payload: bytes):
