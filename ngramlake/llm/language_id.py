@@ -36,7 +36,7 @@ LEAST_SCORE = 0.02
 @lru_cache(maxsize=1)
 def _tables() -> tuple[np.ndarray, np.ndarray]:
     """Symbol of each code point (0: no letter) and the symbols' vectors by place."""
-    code = np.zeros(0x110000, np.int64)
+    code = np.zeros(0x110000, np.int16)
     for c in range(0x110000):
         if (s := chr(c)).isalpha():
             low = s.lower()
@@ -59,7 +59,8 @@ def grams(text: str) -> tuple[np.ndarray, np.ndarray]:
     sym = np.concatenate([[0], sym[keep], [0]])
     if not letter.any() or len(sym) < GRAM:
         return np.empty(0, np.int64), np.empty(0, np.int64)
-    g = np.zeros(len(sym) - GRAM + 1, np.int64)
+    sym = sym.astype(np.int32)
+    g = np.zeros(len(sym) - GRAM + 1, np.int32)
     for i in range(GRAM):
         g = g * SYMBOLS + sym[i : i + len(g)]
     return np.unique(g, return_counts=True)
@@ -69,12 +70,12 @@ def bundle(codes: np.ndarray, counts: np.ndarray) -> np.ndarray:
     """The vector of counted n-grams."""
     _, place = _tables()
     out = np.zeros(DIM, np.float64)
-    for at in range(0, len(codes), 8192):
-        c = codes[at : at + 8192]
+    for at in range(0, len(codes), 2048):
+        c = codes[at : at + 2048]
         v = place[GRAM - 1][c % SYMBOLS]
         for i in range(1, GRAM):
             v = v * place[GRAM - 1 - i][(c // SYMBOLS**i) % SYMBOLS]
-        out += counts[at : at + 8192].astype(np.float32) @ v.astype(np.float32)
+        out += counts[at : at + 2048].astype(np.float32) @ v.astype(np.float32)
     return out
 
 
@@ -96,7 +97,7 @@ def prototypes(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang
                 at, size = 0, 0
                 for end in range(len(texts)):
                     size += len(texts[end])
-                    if size > 4_000_000 or end == len(texts) - 1:  # texts end in a mark, so no n-gram spans two
+                    if size > 1_000_000 or end == len(texts) - 1:  # texts end in a mark, so no n-gram spans two
                         v = bundle(*grams(" \0 ".join(texts[at : end + 1])))
                         total[name] = total.get(name, 0) + v
                         at, size = end + 1, 0
