@@ -203,6 +203,8 @@ def build() -> dict[str, str]:
     o["short_answers"] = f"with m as ({soft(3, 0.45)}), n as (select item_id as query_id, count(m.query_id) as c from benchmark left join m on m.query_id = item_id where len({_toks()}) >= 3 group by 1) select count(*) as queries, count(*) filter (c < 20) as short, round(count(*) filter (c < 20) / count(*), 6) as share from n"
     o["method_ticks"] = f"with s as ({soft(3, 0.6)}), h as ({soft(3, 0.6, hard=True)}) select s.query_id, row_number() over (partition by s.query_id order by s.similarity desc, s.hits desc, replace(s.pattern, ' ', chr(1))) as rank, s.pattern, s.similarity, s.hits, h.pattern is not null as in_predecessor, s.similarity = 1 as in_exact from s left join h using (query_id, pattern) qualify rank <= 20"
     o["lookups_count"] = f"{_steps(5, 0.6)} select * from steps"
+    per = " union all ".join(f"select query_id, count(*) as n from p{i} group by 1" for i in range(1, 6))
+    o["lookups_geomean"] = f"{_steps(5, 0.6)}, per as (select query_id, sum(n) as t from ({per}) group by 1) select round(exp(avg(ln(t))), 6) as geo_mean, max(t)::BIGINT as most, sum(t)::BIGINT as total from per"
     o["growth_bound"] = f"""{_steps(5, 0.6)}, x as (select step, candidates / (select count(*) from q) as p, kept / (select count(*) from q) as c from steps),
 y as (select *, coalesce(lag(c) over (order by step), 1.0) as before from x),
 z as (select max(case when before > 0 then p / before end) as a, exp(regr_slope(case when c > 0 then ln(c) end, step)) as r, sum(p) as lookups from y),
@@ -216,6 +218,7 @@ select round(regr_slope(ln(types), ln(tokens)), 6) as exponent, round(regr_r2(ln
     o["latency_p95"] = "select event_type as method, count(*) as runs, count(*) filter (event_type = 'error') as failed, round(quantile_cont(case when event_type <> 'error' then value end, 0.5), 6) as p50, round(quantile_cont(case when event_type <> 'error' then value end, 0.95), 6) as p95 from events group by 1"
     o["contam_exact"] = f"{_contam('x as (select item_id, t from b)', False)} select item_id, windows, eta, eta >= 0.8 as dirty from eta"
     o["contam_soft"] = f"{_contam(_planted(), True)} select item_id, windows, eta, eta >= 0.8 as dirty from eta"
+    o["contam_extra"] = f"{_contam(_planted(), True)}, eta2 as (select item_id, round(avg((h.key is not null)::INT), 6) as eta from w left join ex h using (key) group by 1) select item_id, windows, eta from eta where eta >= 0.8 and item_id not in (select item_id from eta2 where eta >= 0.8)"
     o["scan_contains"] = f"with {HELD} select query_id as item_id, doc_id from held"
     o["scan_regex"] = "select doc_id, len(regexp_extract_all(text, '[a-zA-Z0-9._]+@[a-zA-Z0-9.]+'))::INT as n from documents where regexp_matches(text, '[a-zA-Z0-9._]+@[a-zA-Z0-9.]+')"
     o["scan_lev"] = "with n as (select distinct p_name from part) select x.p_name, y.p_name as other, levenshtein(x.p_name, y.p_name)::INT as distance from n x join n y on x.p_name < y.p_name and abs(length(x.p_name) - length(y.p_name)) <= 3 where levenshtein(x.p_name, y.p_name) <= 3"
