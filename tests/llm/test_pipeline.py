@@ -24,7 +24,7 @@ def test_stages_chain(spark, sf):
 def test_hard_rows(spark, sf):
     rows = [(1, None, None, None, None), (1, None, None, None, None), (None, "a text without an id", "en", "s", 1), (2, "", "en", None, 0), (3, "x " * 50_000, "en", "s", 1), (4, "plain words of a clean text", "en", "s", 1)]
     for data in (rows, []):
-        docs = spark.createDataFrame(data, DOC + ", score double, n_lines int, stay int").repartition(2)
+        docs = spark.createDataFrame([(*r, 0.5, 1, 2) for r in data], DOC + ", score double, n_lines int, stay int").repartition(2)
         for _, stage in corpus_pipeline.STAGES:
             out = stage(spark, docs, sf)
             out.collect()
