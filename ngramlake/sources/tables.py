@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
+import zipfile
 from collections.abc import Callable
+from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,7 +16,23 @@ from pyspark.sql import functions as F
 from ngramlake.functions.text import tokens
 
 
+def ship(spark: SparkSession) -> None:
+    """Give this package to workers that lack it, once per application."""
+    sc, root = spark.sparkContext, Path(__file__).resolve().parents[1]
+    if getattr(sc, "_ngram_shipped", False) or not root.is_dir():
+        return
+    at = Path(tempfile.mkdtemp(prefix="ngramlake-ship-"))
+    name = at / f"engine-{uuid.uuid4().hex[:8]}.zip"
+    with zipfile.ZipFile(name, "w") as z:
+        for p in sorted(root.rglob("*.py")):
+            z.write(p, p.relative_to(root.parent))
+    sc.addPyFile(str(name))
+    atexit.register(shutil.rmtree, at, ignore_errors=True)
+    sc._ngram_shipped = True
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
