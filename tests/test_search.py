@@ -138,3 +138,47 @@ def test_append_and_prefix_code(spark, world):
 def test_k_error_scan(spark):
     df = spark.createDataFrame([("the quick brown fox", "quikc"), ("abc", "abc"), ("", "ab"), ("xaxbxcx", "abc")], "t string, p string")
     assert [r[0] for r in df.select(scans.k_error_distance("t", "p")).collect()] == [2, 0, 2, 2]
+
+
+def test_k_errors_of_every_pattern(spark):
+    texts = ["the red cat sat", "", None, "a rad cat", "x" * 1100 + "thered cat", "cat é dog"]
+    patterns = ["red cat", "", None, "é dog", "t", "the red cat sat on the mat by the door"]
+
+    def brute(p, t):
+        row = [0] * (len(t) + 1)
+        for i, c in enumerate(p, 1):
+            new = [i]
+            for j, d in enumerate(t, 1):
+                new.append(min(row[j - 1] + (c != d), row[j] + 1, new[-1] + 1))
+            row = new
+        return min(row)
+
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    asked = spark.createDataFrame(list(enumerate(patterns)), "item_id long, pattern string")
+    want = {(i, d, brute(p or "", t or "")) for i, p in enumerate(patterns) for d, t in enumerate(texts)}
+    for block in (1 << 18, 10):
+        assert {tuple(r) for r in scans.scan_k_errors(docs, asked, block=block).collect()} == want
+
+
+def test_scans_and_contamination_read_every_item(spark, sf):
+    from ngramlake.plans import workloads
+
+    items = {r.item_id: r.tokens for r in workloads.items_of(spark, sf).collect()}
+    docs = spark.read.parquet(f"{sf}/documents.parquet").count()
+    assert workloads.QUERIES["scan_k_errors"](spark, sf).groupBy("item_id").count().where(F.col("count") == docs).count() == len(items)
+    planted = {r.item_id: r.tokens for r in workloads.planted_items(spark, sf).collect()}
+    assert planted.keys() == items.keys()
+    assert all(planted[i] == t for i, t in items.items() if len(t) < 15)
+
+
+def test_planted_short_items_pass_through(spark, tmp_path):
+    import shutil
+
+    from ngramlake.plans import workloads
+
+    for t in ("documents", "embeddings"):
+        shutil.copy(f"/root/testdata/sf0.001/{t}.parquet", tmp_path)
+    short = ["only four words here", " ".join(["word"] * 16)]
+    spark.createDataFrame(list(enumerate(short)), "item_id long, text string").coalesce(1).write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = {r.item_id: r.tokens for r in workloads.planted_items(spark, str(tmp_path)).collect()}
+    assert got[0] == short[0].split() and len(got[1]) == 16
