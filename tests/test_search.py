@@ -182,3 +182,12 @@ def test_planted_short_items_pass_through(spark, tmp_path):
     spark.createDataFrame(list(enumerate(short)), "item_id long, text string").coalesce(1).write.parquet(f"{tmp_path}/benchmark.parquet")
     got = {r.item_id: r.tokens for r in workloads.planted_items(spark, str(tmp_path)).collect()}
     assert got[0] == short[0].split() and len(got[1]) == 16
+
+
+@pytest.mark.parametrize("size", ["sf0.01", "sf0.1"])
+def test_cells_recall(spark, size):
+    v = spark.read.parquet(f"/root/testdata/{size}/embeddings.parquet")
+    q = v.where("vec_id % 100 = 0")
+    want = {(r.query_id, r.vec_id) for r in ranking.dense_search(v, q, 10).collect()}
+    got = {(r.query_id, r.vec_id) for r in ranking.dense_search_cells(v, q, 10).collect()}
+    assert len(got & want) >= 0.9 * len(want)
