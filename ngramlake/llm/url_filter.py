@@ -6,8 +6,9 @@ pages is shrunk downwards: the overall rate is the prior of a suffix, a suffix's
 posterior mean the prior of its domains, a domain's that of its hosts.  The
 weight of each prior (in pages) comes from the moments of the level below it: the
 spread of its rates beyond what binomial draws would show.  A page is blocked if
-the lower bound of its host's posterior is above ``max_bad``: the method blocks
-on evidence only, so unseen hosts pass.
+the lower bound of its host's posterior is above ``max_bad``.  A host without
+labels has its prior alone: the posterior mean of its domain, else of its suffix,
+else the overall rate, with the weight of a host's prior.
 
 All of it is DataFrame code; hosts are counted with partial aggregation, so a
 hot host is one row per task, and the join back to the pages can be split.
@@ -64,8 +65,10 @@ def _prior_weight(level: DataFrame, rate: str) -> Column:
     return F.when(over > 1e-9, F.least(F.greatest(within / over - 1, F.lit(1.0)), F.lit(1e4))).otherwise(F.lit(1e4))
 
 
-def reputation(labelled: DataFrame) -> DataFrame:
-    """``host, n, bad, mean, bound`` from rows ``host, bad`` (bad in 0..1)."""
+def reputation(labelled: DataFrame, every: DataFrame | None = None) -> DataFrame:
+    """``host, n, bad, mean, bound`` from rows ``host, bad`` (bad in 0..1).
+
+    With ``every``, distinct rows ``host``: for those hosts, labelled or not."""
     hosts = labelled.groupBy("host").agg(F.count("*").alias("n"), F.sum("bad").alias("bad"))
     hosts = hosts.withColumn("domain", domain_of(F.col("host"))).withColumn("suffix", suffix_of(F.col("host")))
     domains = hosts.groupBy("domain", "suffix").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"))
@@ -79,6 +82,11 @@ def reputation(labelled: DataFrame) -> DataFrame:
     domains = domains.join(F.broadcast(w)).select("domain", ((F.col("bad") + F.col("w") * F.col("rate1")) / (F.col("n") + F.col("w"))).alias("rate2"))
     hosts = hosts.join(domains, "domain")
     w = hosts.agg(_prior_weight(hosts, "rate2").alias("w"))
+    if every is not None:
+        seen = hosts.select("host", "n", "bad")
+        hosts = every.select("host", domain_of(F.col("host")).alias("domain"), suffix_of(F.col("host")).alias("suffix"))
+        hosts = hosts.join(seen, "host", "left").join(domains, "domain", "left").join(suffixes, "suffix", "left").join(F.broadcast(whole))
+        hosts = hosts.select("host", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("bad", F.lit(0.0)).alias("bad"), F.coalesce("rate2", "rate1", "rate0").alias("rate2"))
     a = F.col("bad") + F.col("w") * F.col("rate2")
     t = F.col("n") + F.col("w")
     mean = a / t
@@ -94,7 +102,7 @@ def judge(
     p = pages.select(F.col(id_col).alias("page_id"), F.col(url).cast("string").alias("url"))
     p = p.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
     lab = labels.where(F.col(good).isNotNull() & F.col(label_id).isNotNull()).groupBy(F.col(label_id).alias("page_id")).agg((1.0 - F.avg(F.col(good).cast("double"))).alias("bad"))
-    known = reputation(p.join(lab, "page_id").select("host", F.col("bad")))
+    known = reputation(p.join(lab, "page_id").select("host", F.col("bad")), p.select("host").distinct())
     name, verdict = rule_of(F.col("host"), F.col("path"), rules)
     own = F.when(F.coalesce(F.round("bound", 9), F.lit(0.0)) > max_bad, F.lit("block")).otherwise(F.lit("allow"))
     return p.join(known.select("host", "bound"), "host", "left").select("page_id", "host", "path", name.alias("rule"), F.coalesce(verdict, own).alias("verdict"))

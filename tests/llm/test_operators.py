@@ -376,3 +376,18 @@ def test_chunk_rows_round_trip(docs):
     rows = common.to_chunks(docs, "doc_id", "text", "t").collect()
     back = [x for r in rows for x in zip(*common.open_chunk(r["n"], bytes(r["ids"]), bytes(r["known"]), bytes(r["lens"]), bytes(r["payload"])), strict=True)]
     assert collections.Counter(back) == collections.Counter((r.doc_id, (r.text or "").encode()) for r in docs.collect())
+
+
+def test_hosts_without_labels_take_their_domain(spark):
+    urls = [f"http://s{i % 40}.bad.io/x" for i in range(400)] + [f"http://s{i % 40}.good.de/x" for i in range(400)]
+    fresh = ["http://new.bad.io/", "http://other.io/", "http://new.good.de/", "http://else.where/"]
+    pages = spark.createDataFrame(list(enumerate(urls + fresh)), "page_id long, url string")
+    labels = spark.createDataFrame([(i, int(i >= 400)) for i in range(800)], "doc_id long, quality int")
+    by = {r.page_id: r.verdict for r in url_filter.judge(pages, labels).collect()}
+    assert [by[i] for i in range(800, 804)] == ["block", "block", "allow", "allow"] and len(by) == 804
+    hosts = spark.createDataFrame([("new.bad.io",), ("s1.bad.io",)], "host string")
+    rows = url_filter.host_of(F.col("url")).alias("host")
+    labelled = pages.join(labels, F.col("page_id") == F.col("doc_id")).select(rows, (1.0 - F.col("quality")).alias("bad"))
+    got = {r.host: r for r in url_filter.reputation(labelled, hosts).collect()}
+    own = {r.host: r for r in url_filter.reputation(labelled).collect()}
+    assert got["s1.bad.io"] == own["s1.bad.io"] and (got["new.bad.io"].n, got["new.bad.io"].bad) == (0, 0.0) and got["new.bad.io"].mean > 0.9
