@@ -65,15 +65,16 @@ def fingerprint(text: bytes, words: int = WORDS, seed: int = SEED) -> int:
     return int.from_bytes(np.packbits(count * 2 > len(h)).tobytes(), "big")
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words: int = WORDS, seed: int = SEED) -> DataFrame:
-    """``doc_id, fp`` (fp: the 64 bits as a signed long)."""
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words: int = WORDS, seed: int = SEED, mark: str | None = None) -> DataFrame:
+    """``doc_id, fp`` (fp: the 64 bits as a signed long), and ``mark``: a long column of that name, if given."""
+    more = [F.col(mark).alias("mark")] if mark else []
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fps = np.array([fingerprint(t or b"", words, seed) for t in b.column(1).cast(pa.binary()).to_pylist()], np.uint64)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64)), *b.columns[2:]], ["doc_id", "fp", "mark"][: b.num_columns])
 
-    return docs.select(F.col(id_col).cast("long"), F.col(text).cast("string")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col(id_col).cast("long"), F.col(text).cast("string"), *more).mapInArrow(run, "doc_id long, fp long" + ", mark long" * bool(mark))
 
 
 def _turn(x: Column, by: Column, segments: int) -> Column:
@@ -134,21 +135,33 @@ def components(edges: DataFrame, rounds: int = 64) -> DataFrame:
     return new.select("node", "label")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words: int = WORDS, bits: int = BITS, segments: int = SEGMENTS) -> DataFrame:
-    """``doc_id, fp, fingerprint, component_id, group_size``; the size counts documents of a component."""
-    fps = spool(fingerprints(docs, id_col, text, words), "simhash")
+def _classes(fps: DataFrame, bits: int, segments: int) -> DataFrame:
+    """``fp, first, docs, label``: each distinct fingerprint, its least id, rows and component."""
     first = fps.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count("*").alias("docs"))
     found = components(links(fps, bits, segments))
     named = first.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", "docs", F.coalesce("label", "fp").alias("label"))
-    named = spool(named, "simhash-classes")
+    return spool(named, "simhash-classes")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words: int = WORDS, bits: int = BITS, segments: int = SEGMENTS) -> DataFrame:
+    """``doc_id, fp, fingerprint, component_id, group_size``; the size counts documents of a component."""
+    fps = spool(fingerprints(docs, id_col, text, words), "simhash")
+    named = _classes(fps, bits, segments)
     whole = named.groupBy("label").agg(F.min("first").alias("component_id"), F.sum("docs").alias("group_size"))
     out = fps.join(named.select("fp", "label").join(whole, "label").drop("label"), "fp")
     return out.select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "group_size")
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", **how) -> DataFrame:
-    """``docs`` with one row of each component: the one named by it."""
-    found = near_duplicates(docs, id_col, text, **how)
-    (name,) = unused(docs, "stay")
-    stay = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias(name)).distinct()
-    return docs.join(stay, F.col(id_col).eqNullSafe(F.col(name)), "left_semi").dropDuplicates([id_col])
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words: int = WORDS, bits: int = BITS, segments: int = SEGMENTS) -> DataFrame:
+    """``docs`` with one row of each component: that of the least id (null ids last), by the
+    text's hash among rows that share it.  A row is known by its id and its text, for ids
+    may be null or repeat over different texts."""
+    name, mark = unused(docs, "stay", "stay_text")
+    of_text = F.xxhash64(F.coalesce(F.col(f"`{text}`").cast("string"), F.lit("")))
+    fps = spool(fingerprints(docs.withColumn(mark, of_text), id_col, text, words, mark=mark), "simhash")
+    named = _classes(fps, bits, segments).select("fp", "label")
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("lacks"), "doc_id", "mark")).alias("least")
+    stay = fps.join(named, "fp").groupBy("label").agg(least).select(F.col("least.doc_id").alias(name), F.col("least.mark").alias("mark"))
+    stay = stay.withColumnRenamed("mark", mark)
+    rows = docs.withColumn(mark, of_text).alias("rows").join(stay.alias("one"), F.col(f"rows.`{id_col}`").cast("long").eqNullSafe(F.col(f"one.{name}")) & (F.col(f"rows.{mark}") == F.col(f"one.{mark}")), "left_semi")
+    return rows.dropDuplicates([id_col, mark]).drop(mark)

@@ -391,3 +391,12 @@ def test_hosts_without_labels_take_their_domain(spark):
     got = {r.host: r for r in url_filter.reputation(labelled, hosts).collect()}
     own = {r.host: r for r in url_filter.reputation(labelled).collect()}
     assert got["s1.bad.io"] == own["s1.bad.io"] and (got["new.bad.io"].n, got["new.bad.io"].bad) == (0, 0.0) and got["new.bad.io"].mean > 0.9
+
+
+def test_keep_one_by_component_not_by_id(spark):
+    rnd = random.Random(3)
+    a, b, c, d = (words(rnd, 40) for _ in range(4))
+    rows = [(None, a), (None, b), (None, a), (7, c), (7, d), (7, c), (8, c), (9, None), (9, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = sorted(((r.doc_id, r.text or "") for r in near_dedup.keep_one(df).collect()), key=str)
+    assert got == sorted([(None, a), (None, b), (7, c), (7, d), (9, "")], key=str)
