@@ -24,9 +24,10 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Cut lines that repeat an earlier one but for two edits; ``n_chars`` follows the text."""
+    """Cut lines that repeat an earlier one but for two edits (below 24 bytes: that equal it);
+    ``n_chars`` follows the text."""
     common.ship(spark)
-    out = line_dedup.dedup_lines(docs, report=False)
+    out = line_dedup.dedup_lines(docs, report=False, exact=1)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return out

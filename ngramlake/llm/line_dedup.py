@@ -2,7 +2,8 @@
 
 Lines of at least ``least`` bytes are compared (by bytes, at most ``edits``
 edits); the first occurrence of each class - least document id, then place - is
-kept, the others are removed.  Shorter lines are always kept.
+kept, the others are removed.  Shorter lines take no part in the edit join: from
+``exact`` bytes on they are compared for equality, below it always kept.
 
 *Candidates.*  A line is cut into ``edits + 1`` segments, its index keys (length,
 segment, bytes).  For each length not above its own and each segment, a line
@@ -134,7 +135,7 @@ def sketches(lines: list[bytes]) -> np.ndarray:
     return np.bitwise_xor.reduceat(bits, np.cumsum(sizes) - sizes)
 
 
-def _runs(buckets: int, edits: int, least: int):
+def _runs(buckets: int, edits: int, least: int, exact: int):
     """Texts to sorted runs: distinct lines (kind 0) and their keys (kind 1)."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -182,13 +183,13 @@ def _runs(buckets: int, edits: int, least: int):
         for b in batches:
             for doc, t in zip(b.column(0).to_pylist(), b.column(1).cast(pa.binary()).to_pylist(), strict=True):
                 for no, line in enumerate(t.split(b"\n")):
-                    if len(line) < least:
+                    if len(line) < exact:
                         continue
                     name = xxh3_128_digest(line)
                     was = seen.get(name)
                     if was is None:
                         seen[name] = (doc, no)
-                        own, look = line_keys(line, plans, edits)
+                        own, look = line_keys(line, plans, edits) if len(line) >= least else ((), ())
                         ref = len(seen) - 1
                         fresh.append(line)
                         held += len(line)
@@ -200,7 +201,7 @@ def _runs(buckets: int, edits: int, least: int):
                         refs[1] += [ref] * len(look)
                     elif (doc, no) < was:
                         seen[name] = (doc, no)
-                if len(keys[1]) > 400_000:
+                if len(keys[1]) > 400_000 or len(seen) > 100_000:
                     yield flush()
         if seen:
             yield flush()
@@ -252,12 +253,12 @@ def _meet(batches: Iterable[pa.RecordBatch], edits: int) -> Iterator[pa.RecordBa
         at = to
 
 
-def line_classes(docs: DataFrame, id_col: str, text: str, edits: int = EDITS, least: int = LEAST) -> DataFrame:
+def line_classes(docs: DataFrame, id_col: str, text: str, edits: int = EDITS, least: int = LEAST, exact: int = LEAST) -> DataFrame:
     """``doc, nos``: for each document the places of the lines that stay, as a sorted array."""
     spark = docs.sparkSession
     buckets = n_buckets(spark)
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text).cast("string").alias("text")).where("text is not null")
-    runs = spool(rows.mapInArrow(_runs(buckets, edits, least), RUNS), "line-runs")
+    runs = spool(rows.mapInArrow(_runs(buckets, edits, least, exact), RUNS), "line-runs")
     lines = spool(runs.where("kind = 0").repartition(buckets, "bucket").select("a", "b", "c", "d").mapInArrow(_first_lines, "hi long, lo long, doc long, no long"), "lines")
     pairs = spool(runs.where("kind = 1").repartition(buckets, "bucket").select("a", "b", "c").mapInArrow(lambda x: _meet(x, edits), "a long, b long").distinct(), "line-pairs")
     wanted = pairs.select(F.col("a").alias("hi")).union(pairs.select("b")).distinct()
@@ -289,11 +290,13 @@ def line_classes(docs: DataFrame, id_col: str, text: str, edits: int = EDITS, le
     return first.groupBy(F.col("f.doc").alias("doc")).agg(F.sort_array(F.collect_list(F.col("f.no"))).alias("nos"))
 
 
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", edits: int = EDITS, least: int = LEAST, report: bool = True) -> DataFrame:
+def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", edits: int = EDITS, least: int = LEAST, report: bool = True, exact: int | None = None) -> DataFrame:
     """``docs`` with removed lines cut from ``text``; with ``report`` adds ``n_lines, n_removed``
-    (with underscores in front where ``docs`` has such columns)."""
+    (with underscores in front where ``docs`` has such columns).  Equal lines of ``exact``
+    bytes (``least`` if not given) and more are removed; empty lines never are."""
+    exact = max(1, min(least, least if exact is None else exact))
     doc, stay, n, gone = unused(docs, "line_doc", "line_nos", "n_lines", "n_removed")
-    kept = line_classes(docs, id_col, text, edits, least).select(F.col("doc").alias(doc), F.col("nos").alias(stay))
+    kept = line_classes(docs, id_col, text, edits, least, exact).select(F.col("doc").alias(doc), F.col("nos").alias(stay))
     both = docs.withColumn(text, F.col(f"`{text}`").cast("string"))
     both = both.join(kept, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col(doc), "left").drop(doc)
     names = both.columns
@@ -310,7 +313,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", edi
                     cut.append(0)
                     continue
                 own, split = set(nos or ()), t.split(b"\n")
-                left = [x for k, x in enumerate(split) if len(x) < least or k in own]
+                left = [x for k, x in enumerate(split) if len(x) < exact or k in own]
                 texts.append(b"\n".join(left))
                 total.append(len(split))
                 cut.append(len(split) - len(left))

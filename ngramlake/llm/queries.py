@@ -84,7 +84,7 @@ def op10_edit_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .line_dedup import dedup_lines
 
     common.ship(spark)
-    kept = dedup_lines(read(spark, sf_dir, "documents").select("doc_id", "text"))
+    kept = dedup_lines(read(spark, sf_dir, "documents").select("doc_id", "text"), exact=1)
     return kept.select("doc_id", "n_lines", "n_removed", F.octet_length("text").cast("long").alias("n_bytes_kept"), F.sha2("text", 256).alias("kept_sha256"))
 
 

@@ -393,6 +393,18 @@ def test_hosts_without_labels_take_their_domain(spark):
     assert got["s1.bad.io"] == own["s1.bad.io"] and (got["new.bad.io"].n, got["new.bad.io"].bad) == (0, 0.0) and got["new.bad.io"].mean > 0.9
 
 
+def test_equal_short_lines_go(spark):
+    rows = [(1, "short\n\na\nshorx"), (2, "a\nshort\n\n\nkept"), (3, "a"), (None, "kept\nlast"), (4, None)]
+    got = {r.doc_id: (r.text, r.n_removed) for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string"), exact=1).collect()}
+    assert got == {1: ("short\n\na\nshorx", 0), 2: ("\n", 3), 3: ("", 1), None: ("kept\nlast", 0), 4: (None, 0)}
+
+
+def test_pipeline_cuts_short_lines(spark):
+    corpus_pipeline = pytest.importorskip("corpus_pipeline")
+    docs = spark.createDataFrame([(1, "same", "en", "s", 4), (2, "same\nother", "en", "s", 10)], KIND.removesuffix(", score string"))
+    assert {(r.doc_id, r.text, r.n_chars) for r in corpus_pipeline.line_stage(spark, docs, "").collect()} == {(1, "same", 4), (2, "other", 5)}
+
+
 def test_keep_one_by_component_not_by_id(spark):
     rnd = random.Random(3)
     a, b, c, d = (words(rnd, 40) for _ in range(4))
