@@ -108,14 +108,15 @@ def recall_at(ranked: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     return all_.join(hit, "query_id", "left").select("query_id", F.round(F.coalesce("h", F.lit(0)) / F.col("n"), 6).alias("value"))
 
 
-def binary_metrics(scored: DataFrame, threshold: float) -> DataFrame:
-    """``pairs, accuracy, f1, auc`` of ``label`` (0/1) and ``score``."""
-    yes = F.col("score") >= threshold
-    tied = scored.groupBy("score").agg(F.sum("label").alias("pos"), F.sum(1 - F.col("label")).alias("neg"))
+def binary_metrics(scored: DataFrame, threshold: float, weight: str | None = None) -> DataFrame:
+    """``pairs, accuracy, f1, auc`` of ``label`` (0/1) and ``score``; a row counts ``weight`` times."""
+    yes, n = F.col("score") >= threshold, F.col(weight) if weight else F.lit(1)
+    tied = scored.groupBy("score").agg(F.sum(n * F.col("label")).alias("pos"), F.sum(n * (1 - F.col("label"))).alias("neg"))
     w = Window.orderBy("score").rowsBetween(Window.unboundedPreceding, -1)
-    area = tied.withColumn("below", F.coalesce(F.sum("neg").over(w), F.lit(0))).agg((F.sum(F.col("pos") * (F.col("below") + F.col("neg") / 2)) / (F.sum("pos") * F.sum("neg"))).alias("auc"))
-    tp, fp, fn = F.count_if(yes & (F.col("label") == 1)), F.count_if(yes & (F.col("label") == 0)), F.count_if(~yes & (F.col("label") == 1))
-    m = scored.agg(F.count("*").alias("pairs"), F.round(F.avg((yes.cast("int") == F.col("label")).cast("int")), 6).alias("accuracy"), F.round(2 * tp / (2 * tp + fp + fn), 6).alias("f1"))
+    area = tied.withColumn("below", F.coalesce(F.sum("neg").over(w), F.lit(0))).agg((F.sum(F.col("pos") * (F.col("below") + F.col("neg") / 2)) / F.nullif(F.sum("pos").cast("double") * F.sum("neg"), F.lit(0.0))).alias("auc"))
+    many = lambda c: F.sum(F.when(c, n).otherwise(0))
+    tp, fp, fn = many(yes & (F.col("label") == 1)), many(yes & (F.col("label") == 0)), many(~yes & (F.col("label") == 1))
+    m = scored.agg(F.coalesce(F.sum(n), F.lit(0)).alias("pairs"), F.round(many(yes.cast("int") == F.col("label")) / F.sum(n), 6).alias("accuracy"), F.round(2 * tp / F.nullif(2 * tp + fp + fn, F.lit(0)), 6).alias("f1"))
     return m.join(F.broadcast(area)).select("pairs", "accuracy", "f1", F.round("auc", 6).alias("auc"))
 
 

@@ -29,21 +29,35 @@ def soft_retrieve(grams: DataFrame, matches: DataFrame, index: WindowIndex, n_do
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def shared_gram_pairs(grams: DataFrame, most_docs: int) -> DataFrame:
-    """``a, b`` document pairs that share a gram of at most ``most_docs`` documents (the
-    bound keeps the pairs of one gram few; rarer grams of a near copy remain)."""
-    docs = grams.groupBy("key").agg(F.count("*").alias("n"), F.sort_array(F.collect_list("doc_id")).alias("d")).where(F.col("n").between(2, most_docs))
-    x = docs.select("d", F.explode("d").alias("a")).select("a", F.explode("d").alias("b"))
-    return x.where("a < b").distinct()
-
-
-def window_overlap(pairs: DataFrame, grams: DataFrame) -> DataFrame:
-    """``a, b, jaccard, score``: by distinct windows; the score averages both coverages."""
-    sizes = grams.groupBy("doc_id").agg(F.count("*").alias("n"))
-    both = pairs.join(grams.withColumnRenamed("doc_id", "a"), "a").join(grams.withColumnRenamed("doc_id", "b"), ["b", "key"]).groupBy("a", "b").agg(F.count("*").alias("common"))
-    x = pairs.join(both, ["a", "b"], "left").join(sizes.select(F.col("doc_id").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("doc_id").alias("b"), F.col("n").alias("nb")), "b")
-    c = F.coalesce("common", F.lit(0))
-    return x.select("a", "b", F.round(c / (F.col("na") + F.col("nb") - c), 6).alias("jaccard"), F.round((c / F.col("na") + c / F.col("nb")) / 2, 6).alias("score"))
+def text_classes(corpus: DataFrame) -> DataFrame:
+    """``doc_id, rep``: each document and the least id among those of equal tokens."""
+    h = corpus.select("doc_id", F.sha2(key_of(F.col("tokens")), 256).alias("h"))
+    return h.join(h.groupBy("h").agg(F.min("doc_id").alias("rep")), "h").select("doc_id", "rep")
+
+
+def class_pairs(members: DataFrame, grams: DataFrame) -> DataFrame:
+    """``a, b, jaccard, score, n``: pairs of classes that share a gram, however many documents
+    hold it, by distinct windows; the score averages both coverages.  ``grams`` are those of
+    the representatives.  ``n`` counts the pairs of documents; a class with itself has
+    ``a = b``.  Grams of the same documents are paired once, with their number."""
+    sizes = grams.groupBy("doc_id").agg(F.count("*").alias("g"))
+    classes = members.groupBy(F.col("rep").alias("doc_id")).agg(F.count("*").alias("m")).join(sizes, "doc_id")
+    held = grams.groupBy("key").agg(F.sort_array(F.collect_list("doc_id")).alias("d")).where(F.size("d") > 1).groupBy("d").agg(F.count("*").alias("w"))
+    left = held.select("d", "w", F.posexplode("d").alias("i", "a")).where(F.col("i") + 1 < F.size("d"))
+    both = left.select("w", "a", F.explode(F.expr("slice(d, i + 2, size(d) - i - 1)")).alias("b")).groupBy("a", "b").agg(F.sum("w").alias("c"))
+    side = lambda x: classes.select(F.col("doc_id").alias(x), F.col("g").alias(f"g{x}"), F.col("m").alias(f"m{x}"))
+    x, c = both.join(side("a"), "a").join(side("b"), "b"), F.col("c")
+    out = x.select("a", "b", F.round(c / (F.col("ga") + F.col("gb") - c), 6).alias("jaccard"), F.round((c / F.col("ga") + c / F.col("gb")) / 2, 6).alias("score"), (F.col("ma") * F.col("mb")).alias("n"))
+    own = classes.where("m > 1").select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b"), F.lit(1.0).alias("jaccard"), F.lit(1.0).alias("score"), F.expr("m * (m - 1) div 2").alias("n"))
+    return out.unionByName(own)
+
+
+def document_pairs(pairs: DataFrame, members: DataFrame) -> DataFrame:
+    """``a, b, jaccard, score`` of documents, ``a < b``, from pairs of classes."""
+    side = lambda x: members.select(F.col("doc_id").alias(x), F.col("rep").alias(f"r{x}"))
+    rows = pairs.select(F.col("a").alias("rx"), F.col("b").alias("ry"), "jaccard", "score").join(side("x"), "rx").join(side("y"), "ry")
+    rows = rows.where((F.col("rx") != F.col("ry")) | (F.col("x") < F.col("y")))
+    return rows.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "jaccard", "score")
 
 
 def soft_pair_score(pairs: DataFrame, near: DataFrame, theta: float, n: int = 5) -> DataFrame:

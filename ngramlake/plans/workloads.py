@@ -524,23 +524,33 @@ def ir_soft(spark, sf):
     return few.join(analysis.precision_at(best, truth, 1, truth.select("query_id").distinct()).withColumnRenamed("value", "p1"), "query_id")
 
 
+def classes_of(spark, sf):
+    return once(spark, (sf, "classes"), lambda: spool(retrieval.text_classes(docs_of(spark, sf)), "classes"))
+
+
 def pairs_of(spark, sf):
     def build():
-        g = spool(vocab.ngrams(docs_of(spark, sf), QUERY).select("doc_id", "key").distinct(), "pair-grams")
-        return spool(retrieval.window_overlap(retrieval.shared_gram_pairs(g, 10), g), "pairs")
+        one = docs_of(spark, sf).join(classes_of(spark, sf).where("doc_id = rep"), "doc_id", "left_semi")
+        g = spool(vocab.ngrams(one, QUERY).select("doc_id", "key").distinct(), "pair-grams")
+        return spool(retrieval.class_pairs(classes_of(spark, sf), g), "pairs")
 
     return once(spark, (sf, "pairs"), build)
 
 
+def _label():
+    return (F.col("jaccard") >= 0.5).cast("int").alias("label")
+
+
 @query
 def paraphrase(spark, sf):
-    p = pairs_of(spark, sf)
-    return p.select("a", "b", "jaccard", "score", (F.col("jaccard") >= 0.5).cast("int").alias("label"))
+    p = retrieval.document_pairs(pairs_of(spark, sf), classes_of(spark, sf))
+    return p.select("a", "b", "jaccard", "score", _label())
 
 
 @query
 def paraphrase_metrics(spark, sf):
-    return analysis.binary_metrics(paraphrase(spark, sf), 0.6)
+    """Over all pairs of documents, counted by classes of equal texts."""
+    return analysis.binary_metrics(pairs_of(spark, sf).select("score", _label(), "n"), 0.6, "n")
 
 
 @query

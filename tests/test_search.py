@@ -191,3 +191,24 @@ def test_cells_recall(spark, size):
     want = {(r.query_id, r.vec_id) for r in ranking.dense_search(v, q, 10).collect()}
     got = {(r.query_id, r.vec_id) for r in ranking.dense_search_cells(v, q, 10).collect()}
     assert len(got & want) >= 0.9 * len(want)
+
+
+def test_pairs_of_crowded_grams(spark):
+    from ngramlake.operators import analysis, retrieval
+
+    copies, near = "a b c d e f g h", "a b c d e f x y"
+    texts = [copies] * 13 + [near] * 12 + ["z z z z z z"] * 2 + ["no pair is in here at all", "too short", "too short"]
+    docs = spark.createDataFrame([(i, t.split()) for i, t in enumerate(texts)], "doc_id long, tokens array<string>")
+    grams = {i: {tuple(t.split()[k : k + 5]) for k in range(len(t.split()) - 4)} for i, t in enumerate(texts)}
+    want = set()
+    for a, b in itertools.combinations(range(len(texts)), 2):
+        if c := len(grams[a] & grams[b]):
+            want.add((a, b, round(c / len(grams[a] | grams[b]), 6), round((c / len(grams[a]) + c / len(grams[b])) / 2, 6)))
+    members = retrieval.text_classes(docs)
+    one = docs.join(members.where("doc_id = rep"), "doc_id", "left_semi")
+    pairs = retrieval.class_pairs(members, vocab.ngrams(one, 5).select("doc_id", "key").distinct())
+    got = retrieval.document_pairs(pairs, members)
+    rows = got.collect()
+    assert {tuple(r) for r in rows} == want and len(rows) == len(want)
+    label = (F.col("jaccard") >= 0.5).cast("int").alias("label")
+    assert analysis.binary_metrics(pairs.select("score", label, "n"), 0.6, "n").first() == analysis.binary_metrics(got.select("score", label), 0.6).first()
