@@ -412,3 +412,42 @@ def test_keep_one_by_component_not_by_id(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     got = sorted(((r.doc_id, r.text or "") for r in near_dedup.keep_one(df).collect()), key=str)
     assert got == sorted([(None, a), (None, b), (7, c), (7, d), (9, "")], key=str)
+
+
+def test_every_chunk_trains_and_counts(spark):
+    from ngramlake.llm import attention as att
+
+    share, rng = lm_scoring.SHARE * lm_scoring.BATCH, random.Random(2)
+    sizes, passed, steps = [rng.randint(0, 9000) for _ in range(40)], 0, 0
+    for n in sizes:  # groups too small for a step of their own
+        steps += lm_scoring.due(passed, n)
+        passed += n
+    assert steps == -(-sum(sizes) // share)
+    # a partial sum whose tasks took no step keeps its counts
+    w = att.flatten(att.fresh())
+    row = lambda s, n: lm_scoring.pa.RecordBatch.from_pydict({"steps": [s], "counts": [np.full(3, n, np.int64).tobytes()], "weights": [w]})
+    (got,) = lm_scoring._average([row(0, 2), row(0, 3)])
+    assert np.frombuffer(got.column(1)[0].as_py(), np.int64).tolist() == [5, 5, 5]
+    (got,) = lm_scoring._average([row(0, 2), row(4, 1)])
+    assert got.column(0)[0].as_py() == 4 and np.allclose(np.frombuffer(got.column(2)[0].as_py(), np.float32), np.frombuffer(w, np.float32))
+
+
+def test_classes_read_every_training_text(spark):
+    from ngramlake.llm import attention as att
+
+    rnd = random.Random(8)
+    texts = [(i, words(rnd, 30)) for i in range(400)] + [(400, None), (None, "one two three")]
+    df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
+    chunks = common.to_chunks(df, "doc_id", "text", "t", lm_scoring._pack_ids(PATH))
+    encoder = common.WordEncoder.get(PATH)
+    vocab, end = encoder.tokenizer.get_vocab_size(), encoder.tokenizer.token_to_id(lm_scoring.END_TEXT)
+    of, before = lm_scoring.classes(chunks, vocab, end)
+    train = [(t or "").encode() for i, t in texts if not lm_scoring.held_out(i)]
+    ids, starts = lm_scoring._subwords(encoder, train, end)
+    seen = np.zeros((vocab, 2 * att.NEAR))
+    for a, b in zip(starts[:-1], starts[1:], strict=True):
+        for x, y in zip(ids[a : b - 1], ids[a + 1 : b], strict=True):
+            seen[y, x % att.NEAR] += 1
+            seen[x, att.NEAR + y % att.NEAR] += 1
+    assert (of == att.cluster(*att.project(seen), end)).mean() > 0.999
+    assert len(before) == chunks.count() and min(before.values()) == 0
