@@ -5,12 +5,13 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: Stands between tokens in a key; below every character that a token may hold,
-#: so byte order of keys is order of token sequences, shorter ones first.
+#: Stands between tokens in a key; below every character that a token may hold (no
+#: token holds U+0000 to U+001F), so byte order of keys is order of token sequences,
+#: shorter ones first.
 SEP = "\x01"
 #: Follows every key that begins with a given one.
 AFTER = "\x02"
-WORD = r"[\p{L}\p{N}]+|[^\s\p{L}\p{N}]"
+WORD = r"[\p{L}\p{N}]+|[^\s\p{L}\p{N}\x00-\x1f]"
 
 
 def tokens(text: Column, mode: str = "word") -> Column:
@@ -20,9 +21,9 @@ def tokens(text: Column, mode: str = "word") -> Column:
     if mode == "word_cased":
         return F.regexp_extract_all(text, F.lit(WORD), 0)
     if mode == "whitespace":
-        return F.filter(F.split(F.trim(text), r"\s+"), lambda x: x != "")
+        return F.filter(F.split(text, r"[\s\x00-\x1f]+"), lambda x: x != "")
     if mode == "char":
-        return F.regexp_extract_all(text, F.lit(r"\S"), 0)
+        return F.regexp_extract_all(text, F.lit(r"[^\s\x00-\x1f]"), 0)
     if mode == "piece":
         # sub-words of at most four characters: a fixed-length stand-in for learned pieces
         return F.flatten(F.transform(tokens(text, "word"), lambda w: F.regexp_extract_all(w, F.lit(r"(?s).{1,4}"), 0)))

@@ -24,19 +24,31 @@ from pyspark.sql import functions as F
 from ngramlake.functions.similarity import BASE, cost, similarity
 from ngramlake.functions.text import SEP, key_of, key_size
 from ngramlake.operators.index import WindowIndex
-from ngramlake.operators.lookup import exact_lookup, matching_windows
+from ngramlake.operators.lookup import exact_lookup, exists, matching_windows
 from ngramlake.sources.tables import spool
 
-Finder = Callable[[DataFrame], DataFrame]
+
+@dataclass
+class Finder:
+    """Exact lookup of ``key``: those that occur with their ``hits``, or (``occur``) those that
+    occur alone; patterns of over ``longest`` tokens cannot be asked."""
+
+    hits: Callable[[DataFrame], DataFrame]
+    occur: Callable[[DataFrame], DataFrame]
+    longest: int
+
+    def __call__(self, keys: DataFrame) -> DataFrame:
+        return self.hits(keys)
 
 
 def fence_finder(index: WindowIndex) -> Finder:
-    return lambda keys: exact_lookup(keys, index).where("hits > 0")
+    return Finder(lambda keys: exact_lookup(keys, index).where("hits > 0"), lambda keys: exists(keys, index), index.length)
 
 
-def gram_finder(grams: DataFrame) -> Finder:
+def gram_finder(grams: DataFrame, longest: int = 1 << 30) -> Finder:
     """Existence by an equi-join with ``key, hits`` of all n-grams up to the longest asked for."""
-    return lambda keys: keys.select("key").where(F.col("key") != "").distinct().join(grams.select("key", "hits"), "key")
+    found = lambda keys: keys.select("key").where(F.col("key") != "").distinct().join(grams.select("key", "hits"), "key")
+    return Finder(found, lambda keys: found(keys).select("key"), longest)
 
 
 @dataclass
@@ -99,14 +111,19 @@ def soft_search(
     """``query_id, m, key, similarity, hits`` of all patterns at or above ``theta``.
 
     ``near`` is ``tok, nb, cos`` at or above ``theta``; ``longest`` the greatest query
-    length; ``hard`` scores by the plain minimum (no edits).  With ``trace`` every
-    step is written and its frames (candidates, those that occur) are appended.
+    length; ``hard`` scores by the plain minimum (no edits).  Patterns hold at most
+    ``max_len`` tokens (by default 8 more than the query), and no more than the finder can
+    look up.  Steps ask only whether candidates occur; hits are counted once, for what is
+    left at the end (with last-bits pruning, at each step).  With ``trace`` every step is
+    written and its frames (candidates, those that occur) are appended.
     """
+    if longest > find.longest:
+        raise ValueError(f"queries of {longest} tokens exceed the {find.longest} that can be looked up")
     prune = prune or Prune()
     if prune.last_bits and (edits or index is None or hard):
         raise ValueError("last-bits pruning needs an index and equal lengths")
     near = near.select("tok", "nb", F.round("cos", 6).alias("cos"), cost(F.round("cos", 6), base).alias("a"))
-    max_len = max_len or longest + 8
+    max_len = min(max_len or longest + 8, find.longest)
     score = (lambda: F.round(-F.col("s"), 6)) if hard else (lambda: similarity(F.col("s"), F.col("lp"), base))
     add = (lambda: F.greatest(F.col("s"), -F.col("cos"))) if hard else (lambda: F.col("s") + F.col("a"))
     zero = -1.0 if hard else 0.0
@@ -134,11 +151,12 @@ def soft_search(
             for k, table in zip((2, 3), kgrams[1], strict=False):
                 cand = known_absent(cand, kgrams[0], table, k)
         cand = spool(cand, "candidates")
-        found = spool(find(cand).select("key", F.col("hits").cast("long")), "found")
-        kept = cand.join(found, "key").select(*cand.columns, "hits")
+        found = find.hits(cand).select("key", F.col("hits").cast("long")) if prune.last_bits else find.occur(cand)
+        kept = cand.join(spool(found, "found"), "key").select(*cand.columns, *["hits"] * prune.last_bits)
         if not dele:
             return kept
-        return kept.unionByName(cand.where(F.col("key") == "").withColumn("hits", F.lit(0).cast("long")))
+        empty = cand.where(F.col("key") == "")
+        return kept.unionByName(empty.withColumn("hits", F.lit(0).cast("long")) if prune.last_bits else empty)
 
     done: list[DataFrame] = []
     columns = ["query_id", "tokens", "m", "key", "s", "lp", "e"]
@@ -179,7 +197,10 @@ def soft_search(
         tail = inserted(ends.select(*columns)).join(ends.select("query_id", "key").distinct(), ["query_id", "key"], "left_anti")
         ends = ends.unionByName(occurring(_pareto(tail)))
     ends = ends.where(F.col("key") != "")
-    return ends.groupBy("query_id", "m", "key").agg(F.max(score()).alias("similarity"), F.max("hits").alias("hits"))
+    if prune.last_bits:
+        return ends.groupBy("query_id", "m", "key").agg(F.max(score()).alias("similarity"), F.max("hits").alias("hits"))
+    best = spool(ends.groupBy("query_id", "m", "key").agg(F.max(score()).alias("similarity")), "ends")
+    return best.join(find.hits(best), "key").select("query_id", "m", "key", "similarity", F.col("hits").cast("long"))
 
 
 def _finish_rare(rare: DataFrame, i: int, longest: int, near: DataFrame, index: WindowIndex, theta: float, base: float) -> DataFrame:

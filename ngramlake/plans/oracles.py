@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-TOKEN = r"[\p{L}\p{N}]+|[^\s\p{L}\p{N}]"
+TOKEN = r"[\p{L}\p{N}]+|[^\s\p{L}\p{N}\x00-\x1f]"
 DIM = 64
 LN = "ln(1e4)"
 
@@ -153,14 +153,14 @@ def _contam(items: str, search: bool) -> str:
 
 def _planted() -> str:
     """Items with the 15th token swapped for its nearest other word."""
-    lex = near("select t[15] as token from b where len(t) >= 20", 0.6, z="z")
+    lex = near("select t[15] as token from b where len(t) >= 15", 0.6, z="z")
     best = "best as (select tok, nb from (select tok, nb, row_number() over (partition by tok order by cos desc, nb) as r from zn where tok <> nb) where r = 1)"
-    x = "x as (select item_id, case when nb is null then t else list_concat(t[1:14], [nb], t[16:]) end as t from b left join best on t[15] = tok where len(t) >= 20)"
+    x = "x as (select item_id, case when nb is null then t else list_concat(t[1:14], [nb], t[16:]) end as t from b left join best on t[15] = tok)"
     return f"{lex}, {best}, {x}"
 
 
 PAIRS = f"""with {C}, g as (select distinct doc_id, array_to_string(t[i:i + 4], chr(1)) as key from (select doc_id, t, unnest(range(1, len(t) - 3)) as i from c)),
-d as (select key from g group by 1 having count(*) between 2 and 10),
+d as (select key from g group by 1 having count(*) >= 2),
 s as (select doc_id, count(*) as n from g group by 1),
 ab as (select distinct x.doc_id as a, y.doc_id as b from g x join d using (key) join g y using (key) where x.doc_id < y.doc_id),
 j as (select a, b, count(*) as c from ab join g x on x.doc_id = a join g y on y.doc_id = b and x.key = y.key group by 1, 2),

@@ -16,7 +16,7 @@ from ngramlake.functions.text import SEP, html_text, key_of, tokens
 from ngramlake.operators import analysis, contamination, retrieval, soft, vectors, vocab
 from ngramlake.operators import index as idx
 from ngramlake.operators import lookup as lk
-from ngramlake.sources.tables import corpus, once, spool, table
+from ngramlake.sources.tables import corpus, once, spool, spread, table
 
 THETA, FLOOR, QUERY, WANTED = 0.6, 0.45, 5, 20
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -29,7 +29,7 @@ def query(f):
 
 # -------------------------------------------------------------- what is built once
 def docs_of(spark: SparkSession, sf: str) -> DataFrame:
-    return once(spark, (sf, "corpus"), lambda: spool(corpus(table(spark, sf, "documents"), keep=("lang",)), "corpus"))
+    return once(spark, (sf, "corpus"), lambda: spool(corpus(spread(table(spark, sf, "documents")), keep=("lang", "source")), "corpus"))
 
 
 def vocab_of(spark: SparkSession, sf: str) -> DataFrame:

@@ -37,25 +37,36 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``; a temporary folder only where it is unset."""
+    """``spark.checkpoint.dir``; a temporary folder only where it is unset and all tasks
+    run on this machine."""
     at = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_ngram_dir", None)
     if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         at = spark._ngram_dir = "file://" + tempfile.mkdtemp(prefix="ngramlake-")
     return at
 
 
-def spool(df: DataFrame, name: str, path: str | None = None) -> DataFrame:
-    """Write and reread: cuts the lineage at files that outlive an executor."""
+def spool(df: DataFrame, name: str, path: str | None = None, by: list[str] | None = None) -> DataFrame:
+    """Write and reread: cuts the lineage at files that outlive an executor.  ``by`` are
+    columns that become folders."""
     spark = df.sparkSession
     own = path is None
     path = path or f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    out = df.write.option("compression", "zstd")
+    (out.partitionBy(*by) if by else out).parquet(path)
     if own:
         where = spark._jvm.org.apache.hadoop.fs.Path(path)
         where.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """An input of fewer splits than cores, dealt to all cores; others stay as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def once(spark: SparkSession, key: tuple, build: Callable[[], object]) -> object:
     """Index once, search often: what was built for a path in this application."""
     held = spark.__dict__.setdefault("_ngram_built", {})

@@ -14,9 +14,12 @@ LATE = "10 minutes"
 
 
 def read_stream(spark: SparkSession, folder: str, schema, name: str | None = None, files: int = 1) -> DataFrame:
-    """New Parquet files of a folder; ``name`` picks one table of a folder of tables."""
+    """New Parquet files of a folder; ``name`` picks one table of a folder of tables.  Times
+    without a zone are read in the session's, for watermarks need a zone."""
     r = spark.readStream.schema(schema).option("maxFilesPerTrigger", files)
-    return (r.option("pathGlobFilter", name) if name else r).parquet(folder)
+    df = (r.option("pathGlobFilter", name) if name else r).parquet(folder)
+    local = [f.name for f in df.schema.fields if f.dataType.typeName() == "timestamp_ntz"]
+    return df.withColumns({c: F.col(c).cast("timestamp") for c in local})
 
 
 def run_now(df: DataFrame, name: str, mode: str = "append") -> DataFrame:

@@ -64,6 +64,8 @@ def test_lookups_agree(spark, world):
     rows = lambda df: {r["key"]: r["hits"] for r in df.collect()}
     assert rows(lookup.exact_lookup(p, index)) == want
     assert rows(lookup.exact_lookup(p, index, memory=0)) == want
+    for memory in (lookup.FENCE_BYTES, 0):
+        assert {r["key"] for r in lookup.exists(p, index, memory).collect()} == {k for k, v in want.items() if v}
     assert rows(lookup.exact_lookup_sql(p, index)) == want
     assert rows(scans.scan_exact(None, p, docs, 5)) == want
     sa = suffix.build_suffix_array(docs, 8)
@@ -73,6 +75,9 @@ def test_lookups_agree(spark, world):
     assert {r["key"]: r["count"] for r in places} == {k: v for k, v in want.items() if v}
     long = spark.createDataFrame([(SEP.join("the red cat sat on the mat".split()),), (SEP.join("the red cat sat on the end".split()),)], "key string")
     assert sorted(rows(lookup.long_lookup(long, index, docs)).values()) == [0, 1]
+    for look in (lookup.exact_lookup, lookup.exists):  # refused, not answered by 0
+        with pytest.raises(Exception, match="longer than the index"):
+            look(long, index).collect()
 
 
 @pytest.mark.parametrize("kind", ["none", "ins", "del", "both"])
@@ -126,7 +131,13 @@ def test_append_and_prefix_code(spark, world):
     grown = idx.append_index(index, more)
     fresh = idx.build_index(docs.unionByName(more), 6, 4)
     rows = lambda i: [tuple(r) for r in i.runs.orderBy("rank").select("block", "rank", "key", "run").collect()]
-    assert rows(grown) == rows(fresh)
+    assert rows(idx.compact_index(grown)) == rows(fresh)
+    asked = fresh.runs.select("key")
+    count = lambda i: sorted(tuple(r) for r in lookup.exact_lookup(asked, i).collect())
+    places = lambda i: sorted(tuple(r) for r in lookup.occurrences(asked, i).collect())
+    assert count(grown) == count(fresh) == count(idx.compact_index(grown))
+    assert places(grown) == places(fresh) == places(idx.compact_index(grown))
+    assert lookup.exists(asked, grown).count() == asked.count()
     coded = {r["rank"]: r for r in idx.prefix_code(fresh.runs).collect()}
     last = ""
     for block, rank, key, _ in rows(fresh):
@@ -135,9 +146,39 @@ def test_append_and_prefix_code(spark, world):
         last = key
 
 
+def test_blocks_round_trip():
+    keys = sorted({b"a", b"a\x01b", b"a\x01bc", "é\x01x".encode(), b"b" * 70_000, b"b" * 70_001})
+    got, runs = idx.decode_block(idx.encode_block(keys, range(len(keys))))
+    assert got == keys and runs.tolist() == list(range(len(keys)))
+    assert idx.decode_block(idx.encode_block([], []))[0] == []
+
+
+def test_lookup_reads_asked_shards_only(spark):
+    """A step's plan scans the folders of the shards its patterns fall into, and moves patterns."""
+    from ngramlake.sources.tables import corpus
+
+    docs = corpus(spark.createDataFrame([(i, f"w{i:04d} x") for i in range(600)], "doc_id long, text string"))
+    index = idx.build_index(docs, 2, 1, with_postings=False)
+    assert index.blocks.select("shard").distinct().count() > 2
+    found = lookup.exists(spark.createDataFrame([("w0003",), ("zebra",), ("w9",)], "key string"), index)
+    assert [r[0] for r in found.collect()] == ["w0003"]
+    plan = found._jdf.queryExecution().toString()
+    scan = next(line for line in plan.splitlines() if "FileScan" in line and "body" in line)
+    assert "IN (0,2)" in scan.split("PartitionFilters")[1].split("]")[0] + "]"
+    assert "BroadcastExchange" in plan and "runs-" not in plan
+
+
+def test_control_characters_hold_no_token(spark):
+    from ngramlake.functions.text import tokens
+
+    df = spark.createDataFrame([("a\x00b \x01 c\x02\x1fd",)], "t string")
+    for mode in ("word", "whitespace", "char", "word_cased"):
+        assert df.select(tokens(F.col("t"), mode)).first()[0] == ["a", "b", "c", "d"]
+
+
 def test_k_error_scan(spark):
     df = spark.createDataFrame([("the quick brown fox", "quikc"), ("abc", "abc"), ("", "ab"), ("xaxbxcx", "abc")], "t string, p string")
-    assert [r[0] for r in df.select(scans.k_error_distance("t", "p")).collect()] == [2, 0, 2, 2]
+    assert [r[0] for r in df.select(scans.k_error_distance("t", "p")).collect()] == [1, 0, 2, 2]
 
 
 def test_k_errors_of_every_pattern(spark):
