@@ -32,9 +32,12 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared folder for cut lineage; a temporary one only where none is set."""
+    """The shared folder for cut lineage; a temporary one only where none is set and all
+    tasks run on this machine."""
     at = spark.conf.get("spark.checkpoint.dir", None)
     if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         at = getattr(spark, "_llm_shared", None)
         if not at:
             at = spark._llm_shared = "file://" + tempfile.mkdtemp(prefix="llm-shared-")
@@ -85,15 +88,21 @@ def unused(df: DataFrame, *names: str) -> list[str]:
 
 
 def n_buckets(spark: SparkSession, least: int = 12) -> int:
-    """Exchange width: Spark's own, so it follows the cluster and the input."""
+    """Exchange width: Spark's own setting, ``least`` if that is smaller."""
     return max(least, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
 
 
+def range_count(chunks: DataFrame, chunks_each: int) -> int:
+    """Ranges of an exchange between chunks: one for ``chunks_each`` chunks, so a range does
+    not grow with the data, and no fewer than Spark's own width."""
+    return max(n_buckets(chunks.sparkSession), -(-chunks.count() // chunks_each))
+
+
 # ------------------------------------------------------------------ chunk rows
 CHUNK_SCHEMA = "chunk long, n int, ids binary, known binary, lens binary, payload binary"
 
 
-def _chunk_batches(batches, extra=None):
+def _chunk_batches(batches, extra=None, size=CHUNK_BYTES):
     import zstandard
     from pyspark import TaskContext
 
@@ -126,19 +135,19 @@ def _chunk_batches(batches, extra=None):
             ids.append(i)
             texts.append(t)
             total += len(t)
-            if total >= CHUNK_BYTES or len(ids) >= 20_000:
+            if total >= size or len(ids) >= 20_000:
                 yield flush()
     if ids:
         yield flush()
 
 
-def to_chunks(docs: DataFrame, id_col: str, text: str, name: str, extra=None) -> DataFrame:
-    """Spool ``(id, text)`` as chunk rows; null text is empty, null ids are kept.
+def to_chunks(docs: DataFrame, id_col: str, text: str, name: str, extra=None, size: int = CHUNK_BYTES) -> DataFrame:
+    """Spool ``(id, text)`` as chunk rows of about ``size`` bytes; null text is empty, null ids are kept.
 
     ``extra`` makes a binary column of that name from a chunk's texts."""
     rows = docs.select(F.col(id_col).cast("long"), F.col(text).cast("string"))
     kind = CHUNK_SCHEMA + ", extra binary" * bool(extra)
-    return spool(rows.mapInArrow(lambda b: _chunk_batches(b, extra), kind), name, "uncompressed")
+    return spool(rows.mapInArrow(lambda b: _chunk_batches(b, extra, size), kind), name, "uncompressed")
 
 
 def open_chunk(n: int, ids: bytes, known: bytes, lens: bytes, payload: bytes):

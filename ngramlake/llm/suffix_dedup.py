@@ -29,16 +29,22 @@ not read.
 from __future__ import annotations
 
 import hashlib
+from array import array
 from collections.abc import Iterable, Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CHUNK_SCHEMA, n_buckets, open_chunk, spool, to_chunks
+from .common import CHUNK_SCHEMA, open_chunk, range_count, spool, to_chunks
 
 SPAN, GRAM, FAN_IN = 50, 16, 256
+#: Texts of a chunk, in bytes, and chunks for each range: what a task holds at once.
+TEXT_BYTES, RANGE_CHUNKS = 2 << 20, 6
+#: Rows of a run whose columns are opened at once; spans that leave a range together.
+OPEN_ROWS, SPAN_ROWS = 2048, 100_000
 _CHUNK = [f.split()[0] for f in CHUNK_SCHEMA.split(", ")]
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _ODD_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
@@ -248,17 +254,17 @@ def read_run(raw: bytes, chunk: int, span: int) -> Iterator[tuple]:
     raw = zstandard.ZstdDecompressor().decompress(raw)
     n, at, cols = int.from_bytes(raw[:4], "little"), 4, []
     for t in (np.uint8, np.uint8, np.uint8, np.int64, np.uint32):
-        size = n * np.dtype(t).itemsize
-        cols.append(np.frombuffer(raw[at : at + size], t).tolist())
-        at += size
-    left_at = at + sum(cols[1]) - sum(cols[0])
+        cols.append(np.frombuffer(raw, t, n, at))
+        at += n * np.dtype(t).itemsize
+    left_at = at + int(cols[1].sum(dtype=np.int64)) - int(cols[0].sum(dtype=np.int64))
     last = b""
-    for same, size, left, doc, place in zip(*cols, strict=True):
-        tail = size - same
-        last = last[:same] + raw[at : at + tail]
-        at += tail
-        yield int.from_bytes(last.ljust(span, b"\0"), "big"), same, last, raw[left_at : left_at + left], doc, chunk, place
-        left_at += left
+    for lo in range(0, n, OPEN_ROWS):
+        for same, size, left, doc, place in zip(*(c[lo : lo + OPEN_ROWS].tolist() for c in cols), strict=True):
+            tail = size - same
+            last = last[:same] + raw[at : at + tail]
+            at += tail
+            yield int.from_bytes(last.ljust(span, b"\0"), "big"), same, last, raw[left_at : left_at + left], doc, chunk, place
+            left_at += left
 
 
 def merge_runs(runs: list[Iterator[tuple]], span: int = SPAN) -> Iterator[tuple]:
@@ -402,29 +408,28 @@ def _merged(span: int, gram: int):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         runs: dict[int, list[Iterator]] = {}
         for b in batches:
-            for r in b.to_pylist():
-                if r["kind"] == 1:
-                    yield _batch([(r["bucket"], 1, r["chunk"], r["payload"])], _SPAN_TYPES, SPANS)
+            for bucket, kind, chunk, payload in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if kind == 1:
+                    yield _batch([(bucket, 1, chunk, payload)], _SPAN_TYPES, SPANS)
                 else:
-                    runs.setdefault(r["bucket"], []).append(read_run(r["payload"], r["chunk"], span))
+                    runs.setdefault(bucket, []).append(read_run(payload, chunk, span))
         for bucket in list(runs):
-            found: dict[int, list[tuple[int, int]]] = {}
+            found: dict[int, array] = {}
             group: list[tuple] = []
-
-            def settle(group=group, found=found):
-                if len(group) > 1:
-                    for chunk, lo, hi in _earlier(group, span):
-                        found.setdefault(chunk, []).append((lo, hi))
-                group.clear()
-
-            for row in merge_runs(runs.pop(bucket), span):
+            held = 0
+            for row in chain(merge_runs(runs.pop(bucket), span), [(0, 0)]):  # the last one ends the last group
                 if row[1] < gram:
-                    settle()
+                    if len(group) > 1:
+                        for chunk, lo, hi in _earlier(group, span):
+                            found.setdefault(chunk, array("I")).extend((lo, hi))
+                            held += 1
+                    group = []
+                    if held > SPAN_ROWS:
+                        yield _batch([(bucket, 1, chunk, s.tobytes()) for chunk, s in found.items()], _SPAN_TYPES, SPANS)
+                        found, held = {}, 0
                 group.append(row)
-            settle()
-            rows = [(bucket, 1, chunk, np.array(s, np.uint32).tobytes()) for chunk, s in found.items()]
-            if rows:
-                yield _batch(rows, _SPAN_TYPES, SPANS)
+            if found:
+                yield _batch([(bucket, 1, chunk, s.tobytes()) for chunk, s in found.items()], _SPAN_TYPES, SPANS)
 
     return run
 
@@ -461,8 +466,8 @@ def _apply(span: int, gram: int, keep_text: bool):
 
 def cut_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", span: int = SPAN, gram: int = GRAM, keep_text: bool = True) -> DataFrame:
     """``doc_id, n_bytes, n_removed, n_spans, kept_sha256`` and ``kept`` bytes."""
-    buckets = n_buckets(docs.sparkSession)
-    chunks = to_chunks(docs, id_col, text, "suffix-chunks")
+    chunks = to_chunks(docs, id_col, text, "suffix-chunks", size=TEXT_BYTES)
+    buckets = range_count(chunks, RANGE_CHUNKS)
     told = spool(chunks.mapInArrow(_hash_runs(buckets, span, gram), HASH_RUN).repartition(buckets, "bucket").mapInArrow(_answers, ANSWER), "suffix-flags")
     told = told.groupBy("chunk").agg(F.collect_list(F.struct("kind", "bucket", "bits")).alias("answers"))
     sent = chunks.join(told, "chunk").select(*_CHUNK, "answers").mapInArrow(_suffix_runs(buckets, span, gram), SPANS)
