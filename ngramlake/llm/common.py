@@ -102,7 +102,7 @@ def range_count(chunks: DataFrame, chunks_each: int) -> int:
 CHUNK_SCHEMA = "chunk long, n int, ids binary, known binary, lens binary, payload binary"
 
 
-def _chunk_batches(batches, extra=None, size=CHUNK_BYTES):
+def _chunk_batches(batches, extra=None, size=CHUNK_BYTES, names=(), keep=True):
     import zstandard
     from pyspark import TaskContext
 
@@ -122,9 +122,9 @@ def _chunk_batches(batches, extra=None, size=CHUNK_BYTES):
                 "ids": [np.array([0 if i is None else i for i in ids], np.int64).tobytes()],
                 "known": [known.tobytes()],
                 "lens": [lens.tobytes()],
-                "payload": [zstandard.ZstdCompressor(level=3).compress(b"".join(texts))],
+                "payload": [zstandard.ZstdCompressor(level=3).compress(b"".join(texts) if keep else b"")],
             }
-            | ({"extra": [extra(texts)]} if extra else {})
+            | ({n: [x] for n, x in zip(names, extra(texts), strict=True)} if extra else {})
         )
         ids, texts, total, seq = [], [], 0, seq + 1
         return row
@@ -141,13 +141,14 @@ def _chunk_batches(batches, extra=None, size=CHUNK_BYTES):
         yield flush()
 
 
-def to_chunks(docs: DataFrame, id_col: str, text: str, name: str, extra=None, size: int = CHUNK_BYTES) -> DataFrame:
+def to_chunks(docs: DataFrame, id_col: str, text: str, name: str, extra=None, size: int = CHUNK_BYTES, names: tuple[str, ...] = (), keep: bool = True) -> DataFrame:
     """Spool ``(id, text)`` as chunk rows of about ``size`` bytes; null text is empty, null ids are kept.
 
-    ``extra`` makes a binary column of that name from a chunk's texts."""
+    ``extra`` makes the binary columns ``names`` from a chunk's texts; without ``keep`` the
+    texts themselves are left out."""
     rows = docs.select(F.col(id_col).cast("long"), F.col(text).cast("string"))
-    kind = CHUNK_SCHEMA + ", extra binary" * bool(extra)
-    return spool(rows.mapInArrow(lambda b: _chunk_batches(b, extra, size), kind), name, "uncompressed")
+    kind = ", ".join([CHUNK_SCHEMA, *[f"{n} binary" for n in names]])
+    return spool(rows.mapInArrow(lambda b: _chunk_batches(b, extra, size, names, keep), kind), name, "uncompressed")
 
 
 def open_chunk(n: int, ids: bytes, known: bytes, lens: bytes, payload: bytes):
