@@ -49,8 +49,9 @@ def from_wav(media: bytes) -> bytes:
 def spectrogram(samples: bytes, frame: int = FRAME, hop: int = HOP) -> Iterator[np.ndarray]:
     """Magnitudes, in blocks of frames (blocks overlap by the frames around)."""
     x = np.frombuffer(samples, np.uint8).astype(np.float32) - 128
-    if len(x) < frame:
-        x = np.append(x, np.zeros(frame - len(x), np.float32))
+    more = max(0, frame - len(x)) or -(len(x) - frame) % hop  # silence up to the end of the last frame
+    if more:
+        x = np.append(x, np.zeros(more, np.float32))
     frames = np.lib.stride_tricks.sliding_window_view(x, frame)[::hop]
     window = np.hanning(frame).astype(np.float32)
     for at in range(0, len(frames), BLOCK):
