@@ -15,13 +15,16 @@ holds a sketch of its bytes; pairs whose sketches differ in more bits than the
 edits can flip never leave that task, so a family of lines that share a segment
 but differ elsewhere does not become a table of pairs.
 
-*Verification.*  Only candidates' texts are fetched.  Common ends are cut off and
-the rest goes through a bit-parallel edit distance in a band that gives up as soon
-as the bound cannot be met.  Links close to classes by label spreading.
+*Verification.*  Only candidates' texts are fetched: all lines of the names that meet,
+so lines whose short names clash are told apart by their texts.  Common ends are cut off
+and the rest goes through a bit-parallel edit distance in a band that gives up as soon
+as the bound cannot be met.  Links between full (128-bit) names close to classes by label
+spreading.
 
 Cases: null text gives no lines and stays null; empty lines are kept; equal lines
-need no edit join; rows that share an id are treated as one document; null ids
-stand before all others; an empty table gives no rows; further columns are kept
+need no edit join; a document is known by its id and its text's hash, so rows that share
+an id (or have none) are documents of their own, in order of id, hash and place, and only
+equal rows are one; null ids stand before all others; an empty table gives no rows; further columns are kept
 as they are.  No cap: lines that
 share a segment and length are all compared.
 """
@@ -32,7 +35,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -40,8 +43,8 @@ from .common import n_buckets, spool, unused
 from .near_dedup import components
 
 EDITS, LEAST, NO_ID = 2, 24, -(1 << 63)
-RUNS = "bucket int, kind int, a binary, b binary, c binary, d binary"
-_RUN_TYPES = [pa.int32(), pa.int32()] + [pa.binary()] * 4
+RUNS = "bucket int, kind int, a binary, b binary, c binary, d binary, e binary"
+_RUN_TYPES = [pa.int32(), pa.int32()] + [pa.binary()] * 5
 _RUN_NAMES = [f.split()[0] for f in RUNS.split(", ")]
 
 
@@ -142,7 +145,7 @@ def _runs(buckets: int, edits: int, least: int, exact: int):
         from xxhash import xxh3_128_digest
 
         plans: dict = {}
-        seen: dict[bytes, tuple[int, int]] = {}
+        seen: dict[bytes, tuple[int, int, int]] = {}
         keys: list[list[int]] = [[], []]
         refs: list[list[int]] = [[], []]
         fresh: list[bytes] = []
@@ -162,15 +165,15 @@ def _runs(buckets: int, edits: int, least: int, exact: int):
             cut = np.concatenate([[0], np.searchsorted(by[order], edges), [len(by)]])
             for k in np.flatnonzero(np.diff(cut)).tolist():
                 piece = [c[order[cut[k] : cut[k + 1]]].tobytes() for c in (by, *cols)]
-                yield (k, kind, *piece, *[b""] * (4 - len(piece)))
+                yield (k, kind, *piece, *[b""] * (5 - len(piece)))
 
         def flush() -> pa.RecordBatch:
             ids = np.frombuffer(b"".join(seen), ">u8").reshape(-1, 2).astype(np.uint64)
-            at = np.array(list(seen.values()), np.int64).reshape(-1, 2)
+            at = np.array(list(seen.values()), np.int64).reshape(-1, 3)
             mark()
             # a line goes by 32 bits of its hash and its sketch; the other 64 keep it apart
             ids[:, 0] = (ids[:, 0] & np.uint64(0xFFFFFFFF00000000)) | np.concatenate(marks)
-            rows = list(parts(ids[:, 0], 0, ids[:, 1], at[:, 0], at[:, 1]))
+            rows = list(parts(ids[:, 0], 0, ids[:, 1], at[:, 0], at[:, 1], at[:, 2]))
             k = np.array(keys[0] + keys[1], np.uint64)
             side = np.concatenate([np.zeros(len(keys[0]), np.uint8), np.ones(len(keys[1]), np.uint8)])
             rows += parts(k, 1, ids[np.array(refs[0] + refs[1], np.int64), 0], side)
@@ -181,14 +184,14 @@ def _runs(buckets: int, edits: int, least: int, exact: int):
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), _RUN_TYPES, strict=True)], _RUN_NAMES)
 
         for b in batches:
-            for doc, t in zip(b.column(0).to_pylist(), b.column(1).cast(pa.binary()).to_pylist(), strict=True):
+            for doc, of, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).cast(pa.binary()).to_pylist(), strict=True):
                 for no, line in enumerate(t.split(b"\n")):
                     if len(line) < exact:
                         continue
                     name = xxh3_128_digest(line)
                     was = seen.get(name)
                     if was is None:
-                        seen[name] = (doc, no)
+                        seen[name] = (doc, of, no)
                         own, look = line_keys(line, plans, edits) if len(line) >= least else ((), ())
                         ref = len(seen) - 1
                         fresh.append(line)
@@ -199,8 +202,8 @@ def _runs(buckets: int, edits: int, least: int, exact: int):
                         keys[1] += look
                         refs[0] += [ref] * len(own)
                         refs[1] += [ref] * len(look)
-                    elif (doc, no) < was:
-                        seen[name] = (doc, no)
+                    elif (doc, of, no) < was:
+                        seen[name] = (doc, of, no)
                 if len(keys[1]) > 400_000 or len(seen) > 100_000:
                     yield flush()
         if seen:
@@ -217,15 +220,18 @@ def _columns(batches: Iterable[pa.RecordBatch], kinds: tuple) -> list[np.ndarray
     return [np.concatenate(x) if x else np.empty(0, k) for x, k in zip(got, kinds, strict=True)]
 
 
+_LINE = ["hi", "lo", "doc", "of", "no"]
+
+
 def _first_lines(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    hi, lo, doc, no = _columns(batches, (np.uint64, np.uint64, np.int64, np.int64))
-    order = np.lexsort((no, doc, lo, hi))
-    hi, lo, doc, no = hi[order], lo[order], doc[order], no[order]
+    hi, lo, doc, of, no = _columns(batches, (np.uint64, np.uint64, np.int64, np.int64, np.int64))
+    order = np.lexsort((no, of, doc, lo, hi))
+    hi, lo, doc, of, no = (x[order] for x in (hi, lo, doc, of, no))
     first = np.ones(len(hi), bool)
     first[1:] = (hi[1:] != hi[:-1]) | (lo[1:] != lo[:-1])
     for at in range(0, len(hi), 500_000):
         f = np.flatnonzero(first[at : at + 500_000]) + at
-        yield pa.RecordBatch.from_arrays([pa.array(x[f].view(np.int64)) for x in (hi, lo, doc, no)], ["hi", "lo", "doc", "no"])
+        yield pa.RecordBatch.from_arrays([pa.array(x[f].view(np.int64)) for x in (hi, lo, doc, of, no)], _LINE)
 
 
 def _meet(batches: Iterable[pa.RecordBatch], edits: int) -> Iterator[pa.RecordBatch]:
@@ -254,40 +260,50 @@ def _meet(batches: Iterable[pa.RecordBatch], edits: int) -> Iterator[pa.RecordBa
 
 
 def line_classes(docs: DataFrame, id_col: str, text: str, edits: int = EDITS, least: int = LEAST, exact: int = LEAST) -> DataFrame:
-    """``doc, nos``: for each document the places of the lines that stay, as a sorted array."""
+    """``doc, of, nos``: for each document (id and hash of its text) the places of the lines that stay, as a sorted array."""
+    from xxhash import xxh3_128_digest
+
     spark = docs.sparkSession
     buckets = n_buckets(spark)
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text).cast("string").alias("text")).where("text is not null")
+    rows = docs.select(_doc(id_col).alias("doc"), F.xxhash64(F.col(f"`{text}`").cast("string")).alias("of"), F.col(f"`{text}`").cast("string").alias("text")).where("text is not null")
     runs = spool(rows.mapInArrow(_runs(buckets, edits, least, exact), RUNS), "line-runs")
-    lines = spool(runs.where("kind = 0").repartition(buckets, "bucket").select("a", "b", "c", "d").mapInArrow(_first_lines, "hi long, lo long, doc long, no long"), "lines")
+    lines = spool(runs.where("kind = 0").repartition(buckets, "bucket").select("a", "b", "c", "d", "e").mapInArrow(_first_lines, ", ".join(f"{c} long" for c in _LINE)), "lines")
     pairs = spool(runs.where("kind = 1").repartition(buckets, "bucket").select("a", "b", "c").mapInArrow(lambda x: _meet(x, edits), "a long, b long").distinct(), "line-pairs")
     wanted = pairs.select(F.col("a").alias("hi")).union(pairs.select("b")).distinct()
-    places = lines.join(wanted, "hi", "left_semi").groupBy("doc").agg(F.collect_list(F.struct("no", "hi", "lo")).alias("want"))
+    places = lines.join(wanted, "hi", "left_semi").groupBy("doc", "of").agg(F.collect_list(F.struct("no", "hi", "lo")).alias("want"))
 
     def fetch(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out: list[tuple] = []
             for t, want in zip(b.column(0).cast(pa.binary()).to_pylist(), b.column(1).to_pylist(), strict=True):
                 split = t.split(b"\n")
-                out += [(w["hi"], w["lo"], split[w["no"]]) for w in want if w["no"] < len(split)]
+                for w in want:
+                    line = split[w["no"]] if w["no"] < len(split) else b""
+                    if int.from_bytes(xxh3_128_digest(line)[8:], "big", signed=True) == w["lo"]:
+                        out.append((w["hi"], w["lo"], line))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.binary()), strict=True)], ["hi", "lo", "line"])
 
-    texts = spool(rows.join(places, "doc").select("text", "want").mapInArrow(fetch, "hi long, lo long, line binary").dropDuplicates(["hi", "lo"]), "line-texts")
+    texts = spool(rows.join(places, ["doc", "of"]).select("text", "want").mapInArrow(fetch, "hi long, lo long, line binary").dropDuplicates(["hi", "lo"]), "line-texts")
 
     def verify(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ok = [within(x, y, edits) for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], ["a", "b"]).filter(pa.array(ok, pa.bool_()))
+            ok = [within(x, y, edits) for x, y in zip(b.column(4).to_pylist(), b.column(5).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays(b.columns[:4], ["a", "al", "b", "bl"]).filter(pa.array(ok, pa.bool_()))
+
+    left = texts.select(F.col("hi").alias("a"), F.col("lo").alias("al"), F.col("line").alias("x"))
+    right = texts.select(F.col("hi").alias("b"), F.col("lo").alias("bl"), F.col("line").alias("y"))
+    links = pairs.join(left, "a").join(right, "b").select("a", "al", "b", "bl", "x", "y").mapInArrow(verify, "a long, al long, b long, bl long")
+    name = lambda hi, lo: F.struct(F.col(hi).alias("hi"), F.col(lo).alias("lo"))
+    label = components(spool(links.select(name("a", "al").alias("a"), name("b", "bl").alias("b")), "line-links"))
+    label = label.select("node.hi", "node.lo", "label")
+    named = lines.join(label, ["hi", "lo"], "left")
+    first = named.groupBy(F.coalesce("label", name("hi", "lo")).alias("k")).agg(F.min(F.struct("doc", "of", "no")).alias("f"))
+    return first.groupBy(F.col("f.doc").alias("doc"), F.col("f.of").alias("of")).agg(F.sort_array(F.collect_list(F.col("f.no"))).alias("nos"))
+
 
-    left = texts.select(F.col("hi").alias("a"), F.col("line").alias("x"))
-    right = texts.select(F.col("hi").alias("b"), F.col("line").alias("y"))
-    links = pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
-    label = components(spool(links, "line-links"))
-    named = lines.join(label.withColumnRenamed("node", "hi"), "hi", "left")
-    # lines without links keep both halves of their name apart
-    first = named.groupBy(F.coalesce("label", "hi").alias("k"), F.when(F.col("label").isNull(), F.col("lo")).alias("k2")).agg(F.min(F.struct("doc", "no")).alias("f"))
-    return first.groupBy(F.col("f.doc").alias("doc")).agg(F.sort_array(F.collect_list(F.col("f.no"))).alias("nos"))
+def _doc(id_col: str) -> Column:
+    return F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(NO_ID))
 
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", edits: int = EDITS, least: int = LEAST, report: bool = True, exact: int | None = None) -> DataFrame:
@@ -295,10 +311,10 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", edi
     (with underscores in front where ``docs`` has such columns).  Equal lines of ``exact``
     bytes (``least`` if not given) and more are removed; empty lines never are."""
     exact = max(1, min(least, least if exact is None else exact))
-    doc, stay, n, gone = unused(docs, "line_doc", "line_nos", "n_lines", "n_removed")
-    kept = line_classes(docs, id_col, text, edits, least, exact).select(F.col("doc").alias(doc), F.col("nos").alias(stay))
+    doc, of, stay, n, gone = unused(docs, "line_doc", "line_of", "line_nos", "n_lines", "n_removed")
+    kept = line_classes(docs, id_col, text, edits, least, exact).select(F.col("doc").alias(doc), F.col("of").alias(of), F.col("nos").alias(stay))
     both = docs.withColumn(text, F.col(f"`{text}`").cast("string"))
-    both = both.join(kept, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col(doc), "left").drop(doc)
+    both = both.join(kept, (_doc(id_col) == F.col(doc)) & (F.xxhash64(F.col(f"`{text}`")) == F.col(of)), "left").drop(doc, of)
     names = both.columns
     at, last = names.index(text), names.index(stay)
     out_names = [c for c in names if c != stay] + [n, gone] * report

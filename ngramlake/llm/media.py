@@ -1,7 +1,8 @@
 """Media columns: a payload stored as WAV, and spectral-peak pair fingerprints.
 
 Bytes become 8-bit mono samples of a WAV file written and read by the ``wave``
-module.  What is read back is cut into frames for a short-time Fourier transform;
+module.  What is read back is cut into frames (the last one padded by silence, each less
+its mean) for a short-time Fourier transform;
 in every frame the bins that stand above their neighbours in frequency and time
 are peaks, and each peak is paired with the next few ones.  A pair packs both
 bins and the step in time; with the anchor's frame it is one time-coded number.
@@ -24,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-PAD, RATE, FRAME, HOP, FAN, BLOCK = 64, 8000, 256, 128, 3, 4096
+PAD, RATE, FRAME, HOP, FAN, BLOCK, ABOVE = 64, 8000, 256, 128, 3, 4096, 2
 
 
 def padded(raw: bytes, to: int = PAD) -> bytes:
@@ -55,12 +56,13 @@ def spectrogram(samples: bytes, frame: int = FRAME, hop: int = HOP) -> Iterator[
     frames = np.lib.stride_tricks.sliding_window_view(x, frame)[::hop]
     window = np.hanning(frame).astype(np.float32)
     for at in range(0, len(frames), BLOCK):
-        part = frames[max(0, at - 1) : at + BLOCK + 1] * window
+        part = frames[max(0, at - 1) : at + BLOCK + 1]
+        part = (part - part.mean(1, keepdims=True)) * window
         yield np.abs(np.fft.rfft(part, axis=1)).astype(np.float32)
 
 
 def peaks(samples: bytes, frame: int = FRAME, hop: int = HOP) -> tuple[np.ndarray, np.ndarray]:
-    """Frame and bin of local maxima that exceed three times their frame's mean."""
+    """Frame and bin of local maxima that exceed ``ABOVE`` times their frame's mean."""
     times, bins, done = [], [], 0
     for k, m in enumerate(spectrogram(samples, frame, hop)):
         m = np.round(m, 2)
@@ -74,7 +76,7 @@ def peaks(samples: bytes, frame: int = FRAME, hop: int = HOP) -> tuple[np.ndarra
         rest = m[first + 1 : last + 1, 1:-1]
         down[: len(rest)] = rest
         top = (core > m[first:last, :-2]) & (core >= m[first:last, 2:]) & (core > up) & (core >= down)
-        top &= core > 3 * m[first:last].mean(1, keepdims=True)
+        top &= core > ABOVE * m[first:last].mean(1, keepdims=True)
         t, b = np.nonzero(top)
         times.append(t + done)
         bins.append(b + 1)
@@ -95,9 +97,10 @@ def fingerprint(samples: bytes, frame: int = FRAME, hop: int = HOP, fan: int = F
 
 def media_columns(df: DataFrame, id_col: str, raw: str, rate: int = RATE, keep_media: bool = True) -> DataFrame:
     """Bytes or text in, media out: ``id, n_bytes, payload_bytes, payload_sha256,
-    tail_crc32, media_bytes, media_sha256, pairs, media``."""
-    kind = "id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, pairs binary" + ", media binary" * keep_media
-    types = [pa.int64()] * 3 + [pa.string(), pa.int64(), pa.int64(), pa.string(), pa.binary()] + [pa.binary()] * keep_media
+    tail_crc32, media_bytes, media_sha256, pairs, pairs_sha256, media``; ``pairs`` is the
+    sorted array of time-coded numbers, its digest that of their 8-byte little-endian form."""
+    kind = "id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, pairs array<long>, pairs_sha256 string" + ", media binary" * keep_media
+    types = [pa.int64()] * 3 + [pa.string(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.string()] + [pa.binary()] * keep_media
     names = [f.split()[0] for f in kind.split(", ")]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -107,7 +110,8 @@ def media_columns(df: DataFrame, id_col: str, raw: str, rate: int = RATE, keep_m
                 t = t or b""
                 media = to_wav(padded(t), rate)
                 back = from_wav(media)
-                rows.append((i, len(t), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(media), hashlib.sha256(media).hexdigest(), fingerprint(back).tobytes(), *[media] * keep_media))
+                pairs = fingerprint(back)
+                rows.append((i, len(t), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(media), hashlib.sha256(media).hexdigest(), pairs, hashlib.sha256(pairs.astype("<i8").tobytes()).hexdigest(), *[media] * keep_media))
                 held += len(t)
                 if held > 16 << 20:
                     yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), types, strict=True)], names)

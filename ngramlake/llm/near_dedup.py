@@ -15,9 +15,8 @@ each, however many documents share them.
 give a square of pairs.  Its fingerprints are linked another exact way: two
 fingerprints lie within 2 bits if and only if they share one of the 65 strings
 within 1 bit of each.  At most 65 fingerprints share such a string, so every
-group is small, and a star in each group has the same components.  (For other
-values of ``bits`` the radius-1 strings do not suffice and large keys are cut by
-further segments, down to single bits, before pairs are made.)
+group is small, and a star in each group has the same components.  This holds for two
+bits; other values of ``bits`` are refused.
 
 Cases: null text counts as empty and has fingerprint zero, linked like any other;
 fewer words than a shingle make one shingle of all; equal rows share a component;

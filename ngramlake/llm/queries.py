@@ -48,6 +48,7 @@ def op4_hyperdimensional_language(spark: SparkSession, sf_dir: str) -> DataFrame
 def op5_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .url_filter import judge
 
+    common.ship(spark)
     return judge(read(spark, sf_dir, "pages"), read(spark, sf_dir, "labels"))
 
 
@@ -56,7 +57,7 @@ def op8_wav_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     common.ship(spark)
     m = media_columns(read(spark, sf_dir, "documents"), "doc_id", "text", keep_media=False)
-    feature = F.concat_ws(":", (F.octet_length("pairs") / 8).cast("long").cast("string"), F.sha2("pairs", 256))
+    feature = F.concat_ws(":", F.size("pairs").cast("string"), "pairs_sha256")
     return m.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", feature.alias("feature"))
 
 

@@ -65,17 +65,45 @@ def test_packing(spark, docs, empty):
 
 def test_packing_wastes_little():
     rnd = random.Random(1)
-    p, used, rows = packing.Packer(0), 0, []
-    for k in range(3000):
-        n = int(rnd.expovariate(1 / 900)) + 1
-        used += n
+    docs = [int(rnd.expovariate(1 / 900)) + 1 for _ in range(3000)] + [9000, 4096, 1, 4097]
+    waste, pieces = {}, {}
+    for fill in (True, False):
+        p, rows = packing.Packer(0, fill=fill), []
+        for k, n in enumerate(docs):
+            rows += p.add(k, bytes(4 * n))
+        rows += p.close()
+        size, parts = collections.Counter(), collections.defaultdict(list)
+        for r in rows:
+            assert r[6] == size[r[5]]  # gapless, in order
+            size[r[5]] += r[2]
+            parts[r[0]].append((r[1], r[2]))
+        for k, n in enumerate(docs):  # each id in exactly one piece
+            at = 0
+            for start, length in sorted(parts[k]):
+                assert start == at
+                at += length
+            assert at == n
+        waste[fill], pieces[fill] = sum(packing.padded(n) - n for n in size.values()) / sum(docs), len(rows) / len(docs)
+    assert waste[True] == 0 and 0.05 < waste[False] < 0.4
+    assert pieces[True] < 1.7 and pieces[False] < 1.05
+
+
+def test_packing_bins_are_harmonic():
+    """A full bin of class j begins with j whole documents of lengths in (capacity/(j+1), capacity/j]."""
+    rnd, p, rows = random.Random(5), packing.Packer(0), []
+    docs = [rnd.randint(1, 4096) for _ in range(4000)]
+    for k, n in enumerate(docs):
         rows += p.add(k, bytes(4 * n))
-    rows += p.close()
-    size = collections.Counter()
+    bins = collections.defaultdict(list)
     for r in rows:
-        size[r[5]] += r[2]
-    assert sum(size.values()) == used
-    assert sum(0 if n & (n - 1) == 0 else packing.CAPACITY - n for n in size.values()) < 0.01 * used
+        bins[r[5]].append(r)
+    assert len(bins) > 1000
+    for held in bins.values():
+        j = held[0][7]
+        assert sum(r[2] for r in held) == packing.CAPACITY
+        assert len(held) >= j and all(packing.CAPACITY // r[2] == j for r in held[:j])
+        assert all(r[1] + r[2] == r[4] for r in held[:j])  # up to the document's end: no cut but where a gap took its head
+        assert all(r[1] == 0 for r in held[j:])
 
 
 def test_vector_search(spark):
@@ -98,6 +126,32 @@ def test_vector_search(spark):
     assert vector_search.nearest(df.where("false")).count() == 0
 
 
+def test_vector_search_counts_before_it_verifies(spark, sf):
+    """On the given table: recall against brute force, and how much was looked at for it."""
+    df = spark.read.parquet(f"{sf}/embeddings.parquet")
+    got, want = vector_search.nearest(df).collect(), vector_search.nearest_exact(df).collect()
+    found, true = {(r.query_id, r.vec_id) for r in got}, {(r.query_id, r.vec_id) for r in want}
+    assert len(got) == len(want) and len(found & true) >= 0.9 * len(true)
+    seen = {r.query_id: r.n_verified for r in got}
+    assert sum(seen.values()) < 0.6 * len(seen) * df.count()
+    rng = np.random.default_rng(1)  # a clustered table needs far less
+    centres = rng.normal(size=(60, 32))
+    x = centres[rng.integers(0, 60, 3000)] + 0.15 * rng.normal(size=(3000, 32))
+    near = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x / np.linalg.norm(x, axis=1)[:, None])], "vec_id long, embedding array<double>")
+    got, want = vector_search.nearest(near).collect(), vector_search.nearest_exact(near).collect()
+    found, true = {(r.query_id, r.vec_id) for r in got}, {(r.query_id, r.vec_id) for r in want}
+    seen = {r.query_id: r.n_verified for r in got}
+    assert len(found & true) >= 0.9 * len(true) and sum(seen.values()) < 0.15 * len(seen) * 3000
+
+
+def test_vectors_of_two_lengths(spark):
+    rng = np.random.default_rng(2)
+    rows = [(i, rng.normal(size=8 + 4 * (i % 2)).tolist()) for i in range(100)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got, want = ({(r.query_id, r.vec_id) for r in f(df, k=3, every=10).collect()} for f in (vector_search.nearest, vector_search.nearest_exact))
+    assert len(got) == 30 and len(got & want) >= 27 and all(a % 2 == b % 2 for a, b in got)
+
+
 def test_suffix_dedup(docs, empty):
     got = {(r.doc_id, r.kept_sha256): r for r in suffix_dedup.cut_repeats(docs).collect()}
     rows = [(r.doc_id, (r.text or "").encode()) for r in docs.collect()]
@@ -149,6 +203,36 @@ def test_language(spark, docs, empty):
     assert language_id.identify(docs.withColumn("lang", F.lit(None).cast("string"))).where("lang_pred <> 'und'").count() == 0
 
 
+def test_language_against_brute_force(spark):
+    """Prototypes and cosines made one n-gram at a time."""
+    rnd = random.Random(4)
+    rows = [(i, words(rnd, 12, ("abcde", "cdefg", "êtùxy")[i % 3]) + rnd.choice(["", " 12!", "\n"]), f"l{i % 3}", "s", 1, "") for i in range(45)]
+    code, place = language_id._tables()
+
+    def vector(text):
+        v, symbols = np.zeros(language_id.DIM), [0]
+        for c in text:
+            k = int(code[ord(c)])
+            if k or symbols[-1]:
+                symbols.append(k)
+        symbols.append(0)
+        for i in range(len(symbols) - 2):
+            v += place[0][symbols[i]].astype(int) * place[1][symbols[i + 1]] * place[2][symbols[i + 2]]
+        return v
+
+    held = lambda i: zlib.crc32(str(i).encode()) % 4 == 2
+    profile = {}
+    for i, t, lang, *_ in rows:
+        if not held(i):
+            profile[lang] = profile.get(lang, 0) + vector(t)
+    unit = lambda v: v / np.sqrt((v * v).sum())
+    got = {r.doc_id: r for r in language_id.identify(spark.createDataFrame(rows, KIND)).collect()}
+    for i, t, *_ in rows:
+        cos = {k: float(unit(v) @ unit(vector(t))) for k, v in profile.items()}
+        best = max(sorted(cos), key=lambda k: round(cos[k], 9))
+        assert got[i].lang_pred == best and got[i].score == pytest.approx(max(0, cos[best]), abs=0.02)
+
+
 def test_url_filter(spark):
     urls = [None, "no scheme", "http://A.Example.NET/en/x?q", "https://example.com/de/", "http://xexample.com/de/a", "ftp://a.org/fr/b#c", "http://a.net", "http://a.net/", "http://h.io/a"] + ["http://bad.io/x"] * 30
     pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
@@ -177,10 +261,61 @@ def test_lm_scores(docs, empty):
         assert r.train_tokens == n and r.n_known == sum(count[x] > 0 for x in [*w, b""])
         assert r.base_score == pytest.approx(sum(np.log10((count[x] + 1) / (n + v + 1)) for x in [*w, b""]))
         assert r.score < 0 and np.isfinite(r.score)
-    assert got[6, 4].score == pytest.approx(got[7, 4].score, abs=1e-3)
+    assert got[6, 4].score == pytest.approx(got[7, 4].score, abs=1e-2)
     assert lm_scoring.score_documents(empty, PATH).count() == 0
 
 
+def test_score_against_brute_force(spark, monkeypatch):
+    """A text's score made one place at a time from the fitted model; held-out text against the word counts."""
+    from ngramlake.llm import attention as att
+
+    rnd = random.Random(11)
+    syllables = ["ba", "ko", "ti", "mu", "re", "la", "son", "tir"]
+    word = lambda: "".join(rnd.choice(syllables) for _ in range(rnd.randint(1, 4)))
+    rows = [(i, " ".join(word() for _ in range(120))) for i in range(160)]
+    made = []
+    fit = lm_scoring.fit
+    monkeypatch.setattr(lm_scoring, "fit", lambda *a: made.append(fit(*a)) or made[-1])
+    got = {r.doc_id: r for r in lm_scoring.score_documents(spark.createDataFrame(rows, "doc_id long, text string"), PATH).collect()}
+    of, inside, raw = made[0]
+    w, encoder = att.unflatten(raw), common.WordEncoder.get(PATH)
+    end = encoder.tokenizer.token_to_id(lm_scoring.END_TEXT)
+    for i, t in rows[:3]:
+        ids = [end, *encoder.tokenizer.encode(t, add_special_tokens=False).ids, end]
+        total = 0.0
+        for at in range(1, len(ids)):  # the window of this goal's block of places
+            block = (at - 1) // att.STRIDE * att.STRIDE
+            first = max(0, block - att.OVERLAP)
+            seen = ids[first:at]
+            x = np.array([w["by_class"][of[k]] + w["by_hash"][k % att.HASHED] + w["by_place"][p - block + att.OVERLAP] for p, k in enumerate(seen, first)], np.float64)
+            s = (x @ w["k"]) @ (x[-1] @ w["q"]) / np.sqrt(att.DIM)
+            a = np.exp(s - s.max())
+            h = x[-1] + (a / a.sum()) @ (x @ w["v"]) @ w["o"]
+            y = h @ w["u"] + w["b"]
+            total += y[of[ids[at]]] - np.log(np.exp(y - y.max()).sum()) - y.max() + inside(np.array(ids[at - 1 : at]), np.array(ids[at : at + 1]))[0]
+        assert got[i].score == pytest.approx(total / np.log(10), abs=1e-2)
+
+
+def test_held_out_texts_score_better_than_by_word_counts(spark):
+    """On the largest given table; on smaller ones the word counts still win (README)."""
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
+    held = lm_scoring.score_documents(docs, PATH).where("held_out").agg(F.sum("score"), F.sum("base_score")).first()
+    assert held[0] > held[1]
+
+
+def test_ids_in_class_are_a_distribution():
+    from ngramlake.llm import attention as att
+
+    rng, n = np.random.default_rng(3), 300
+    of = np.concatenate([[0], 1 + np.arange(n - 1) % (att.CLASSES - 1)])
+    counts, rank = rng.integers(0, 50, n), np.full(n, -1)
+    rank[rng.permutation(n)[:120]] = np.arange(120)
+    inside = lm_scoring.InClass(of, counts, rank, rng.integers(0, 3, (lm_scoring.TOP, lm_scoring.TOP)).astype(np.float32))
+    for before in range(0, n, 17):
+        p = np.exp(inside(np.full(n, before), np.arange(n)).astype(np.float64))
+        assert np.allclose(np.bincount(of, p), 1, atol=1e-4)
+
+
 def test_model_is_a_distribution_and_scores_once():
     from ngramlake.llm import attention as att
 
@@ -256,11 +391,32 @@ def test_media(docs, empty):
         assert r.media_sha256 == hashlib.sha256(bytes(r.media)).hexdigest() and r.media_bytes == len(r.media)
     by = collections.defaultdict(set)
     for r in rows:
-        by[r.payload_sha256].add(bytes(r.pairs))
+        by[r.payload_sha256].add(tuple(r.pairs))
+        assert r.pairs_sha256 == hashlib.sha256(np.array(r.pairs, "<i8").tobytes()).hexdigest()
     assert all(len(v) == 1 for v in by.values())
     assert media.media_columns(empty, "doc_id", "text").count() == 0
 
 
+def test_media_fingerprint_against_brute_force():
+    """Transforms, peaks and pairs one number at a time; the tail of a payload counts."""
+    pay = media.padded(words(random.Random(8), 120).encode())
+    x = [b - 128.0 for b in pay]
+    x += [0.0] * ((max(0, 256 - len(x)) or -(len(x) - 256) % 128))
+    frames = [np.array(x[a : a + 256], np.float32) for a in range(0, len(x) - 255, 128)]
+    m = [np.round(np.abs(np.fft.rfft((f - f.mean()) * np.hanning(256).astype(np.float32))).astype(np.float32), 2) for f in frames]
+    peaks = []
+    for t, row in enumerate(m):
+        for k in range(1, len(row) - 1):
+            v, up, down = row[k], m[t - 1][k] if t else 0, m[t + 1][k] if t + 1 < len(m) else 0
+            if v > row[k - 1] and v >= row[k + 1] and v > up and v >= down and v > media.ABOVE * row.mean():
+                peaks.append((t, k))
+    want = sorted(t << 22 | k << 14 | k2 << 6 | t2 - t for i, (t, k) in enumerate(peaks) for t2, k2 in peaks[i + 1 : i + 1 + media.FAN] if t2 - t < 64)
+    got = media.fingerprint(pay).tolist()
+    assert len(want) > 20 and len(set(got) ^ set(want)) <= 0.02 * len(want)  # single against double precision at ties
+    long = words(random.Random(9), 100).encode()[:448]
+    assert media.fingerprint(long).tolist() != media.fingerprint(long[:384] + bytes(range(64))).tolist()
+
+
 def test_media_blocks_do_not_change_peaks(monkeypatch):
     raw = words(random.Random(3), 3000).encode()
     whole = media.fingerprint(media.padded(raw)).tolist()
@@ -388,8 +544,8 @@ def test_hosts_without_labels_take_their_domain(spark):
     hosts = spark.createDataFrame([("new.bad.io",), ("s1.bad.io",)], "host string")
     rows = url_filter.host_of(F.col("url")).alias("host")
     labelled = pages.join(labels, F.col("page_id") == F.col("doc_id")).select(rows, (1.0 - F.col("quality")).alias("bad"))
-    got = {r.host: r for r in url_filter.reputation(labelled, hosts).collect()}
-    own = {r.host: r for r in url_filter.reputation(labelled).collect()}
+    got = {r.host: r for r in url_filter.reputation(labelled, hosts)[0].collect()}
+    own = {r.host: r for r in url_filter.reputation(labelled)[0].collect()}
     assert got["s1.bad.io"] == own["s1.bad.io"] and (got["new.bad.io"].n, got["new.bad.io"].bad) == (0, 0.0) and got["new.bad.io"].mean > 0.9
 
 
@@ -423,13 +579,12 @@ def test_every_chunk_trains_and_counts(spark):
         steps += lm_scoring.due(passed, n)
         passed += n
     assert steps == -(-sum(sizes) // share)
-    # a partial sum whose tasks took no step keeps its counts
-    w = att.flatten(att.fresh())
-    row = lambda s, n: lm_scoring.pa.RecordBatch.from_pydict({"steps": [s], "counts": [np.full(3, n, np.int64).tobytes()], "weights": [w]})
-    (got,) = lm_scoring._average([row(0, 2), row(0, 3)])
-    assert np.frombuffer(got.column(1)[0].as_py(), np.int64).tolist() == [5, 5, 5]
-    (got,) = lm_scoring._average([row(0, 2), row(4, 1)])
-    assert got.column(0)[0].as_py() == 4 and np.allclose(np.frombuffer(got.column(2)[0].as_py(), np.float32), np.frombuffer(w, np.float32))
+    # partial sums count by their steps
+    one, two = att.fresh(), {k: v + 1 for k, v in att.fresh().items()}
+    row = lambda s, w: lm_scoring.pa.RecordBatch.from_pydict({"level": [0], "steps": [s], "weights": [att.flatten(w)]})
+    (got,) = lm_scoring._average([row(1, one), row(3, two)])
+    assert got.column(1)[0].as_py() == 4 and np.allclose(att.unflatten(got.column(2)[0].as_py())["b"], 0.75)
+    assert list(lm_scoring._average([])) == []
 
 
 def test_classes_read_every_training_text(spark):
@@ -438,16 +593,92 @@ def test_classes_read_every_training_text(spark):
     rnd = random.Random(8)
     texts = [(i, words(rnd, 30)) for i in range(400)] + [(400, None), (None, "one two three")]
     df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
-    chunks = common.to_chunks(df, "doc_id", "text", "t", lm_scoring._pack_ids(PATH))
+    chunks = common.to_chunks(df, "doc_id", "text", "t", lm_scoring._pack(PATH), names=("extra", "words"), keep=False)
     encoder = common.WordEncoder.get(PATH)
     vocab, end = encoder.tokenizer.get_vocab_size(), encoder.tokenizer.token_to_id(lm_scoring.END_TEXT)
-    of, before = lm_scoring.classes(chunks, vocab, end)
+    rank = np.full(vocab, -1)
+    counts = lm_scoring.id_counts(chunks, vocab)
+    rank[np.argsort(-counts, kind="stable")[:50]] = np.arange(50)
+    of, pairs, before = lm_scoring.classes(chunks, vocab, end, rank)
     train = [(t or "").encode() for i, t in texts if not lm_scoring.held_out(i)]
     ids, starts = lm_scoring._subwords(encoder, train, end)
-    seen = np.zeros((vocab, 2 * att.NEAR))
+    seen, both, goals = np.zeros((vocab, 2 * att.NEAR)), np.zeros_like(pairs), np.zeros(vocab, int)
     for a, b in zip(starts[:-1], starts[1:], strict=True):
         for x, y in zip(ids[a : b - 1], ids[a + 1 : b], strict=True):
             seen[y, x % att.NEAR] += 1
             seen[x, att.NEAR + y % att.NEAR] += 1
+            goals[y] += 1
+            if rank[x] >= 0 and rank[y] >= 0:
+                both[rank[x], rank[y]] += 1
+    assert (goals == counts).all() and (both == pairs).all() and both.sum() > 100
     assert (of == att.cluster(*att.project(seen), end)).mean() > 0.999
     assert len(before) == chunks.count() and min(before.values()) == 0
+
+
+def test_lines_of_rows_that_share_an_id(spark):
+    """A document is its id and its text: rows of one id neither hide nor answer for each other."""
+    rnd = random.Random(12)
+    r, other = words(rnd, 9), words(rnd, 9)
+    q = r[:-1] + ("X" if r[-1] != "X" else "Y")  # one edit from r
+    p = q[:10] + words(rnd, 9)[: len(q) - 10].ljust(len(q) - 10, "k")  # shares a segment with q only
+    count = lambda df: collections.Counter((x.doc_id, x.text) for x in line_dedup.dedup_lines(df, report=False).collect())
+    kind = "doc_id long, text string"
+    for rows, want in (
+        ([(1, r), (5, q), (5, p)], [(1, r), (5, ""), (5, p)]),
+        ([(1, r), (5, p), (5, q)], [(1, r), (5, ""), (5, p)]),
+        ([(1, r), (2, q), (2, other)], [(1, r), (2, ""), (2, other)]),
+        ([(None, r), (None, other), (None, None), (3, q)], [(None, r), (None, other), (None, None), (3, "")]),
+        ([(4, r), (4, r), (6, r)], [(4, r), (4, r), (6, "")]),
+    ):
+        assert count(spark.createDataFrame(rows, kind).repartition(3)) == collections.Counter(want)
+
+
+def test_lines_with_equal_sketches(spark):
+    """Lines of the same bytes in another order are no copies."""
+    a = "alpha beta gamma delta epsilon zeta"
+    rows = [(1, a), (2, a + "!"), (3, "gamma beta alpha delta epsilon zeta"), (4, "zeta epsilon delta gamma beta alpha")]  # equal sketches but for 2
+    got = {r.doc_id: r.text for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: a, 2: "", 3: rows[2][1], 4: rows[3][1]}
+
+
+def test_clashing_and_further_columns(spark):
+    """Every operator on a table whose other columns bear its own names."""
+    rnd = random.Random(13)
+    rows = [(i, words(rnd, 30), ["en", "de"][i % 2], f"s{i % 2}") for i in range(12)] + [(None, None, None, None), (3, "", "en", "s0")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    for name in ("sequence_id", "offset", "score", "component_id", "fp", "label", "size", "target", "taken", "bucket", "chunk", "n_removed", "line_doc", "stay", "rate", "s", "n", "bad"):
+        df = df.withColumn(name, F.lit(name))
+    n = len(rows)
+    assert packing.pack_documents(df, PATH).select("doc_id").distinct().count() == 13
+    assert suffix_dedup.cut_repeats(df).count() == n and language_id.identify(df).count() == n
+    assert lm_scoring.score_documents(df, PATH).count() == n and near_dedup.near_duplicates(df).count() == n
+    assert media.media_columns(df, "doc_id", "text").count() == n and mixing.plan(df).count() == n
+    kept = line_dedup.dedup_lines(df)
+    assert kept.count() == n and set(df.columns) < set(kept.columns)
+    assert near_dedup.keep_one(df).columns == df.columns
+    vec = spark.createDataFrame([(i, [float(i + 1), 1.0]) for i in range(5)], "vec_id long, embedding array<double>")
+    for name in ("block", "shard", "lane", "d", "x", "v", "score", "rank"):
+        vec = vec.withColumn(name, F.lit(name))
+    assert vector_search.nearest(vec).count() == 4
+    pages = spark.createDataFrame([(1, "http://a.b/c")], "page_id long, url string").withColumn("host", F.lit("h")).withColumn("bad", F.lit(1)).withColumn("doc_id", F.lit(9))
+    labels = spark.createDataFrame([(1, 1)], "doc_id long, quality int").withColumn("page_id", F.lit(3)).withColumn("host", F.lit("x"))
+    assert [r.host for r in url_filter.judge(pages, labels).collect()] == ["a.b"]
+
+
+def test_texts_longer_than_a_chunk(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "TEXT_BYTES", 4000)
+    monkeypatch.setattr(common, "CHUNK_BYTES", 4000)
+    rnd = random.Random(14)
+    shared = words(rnd, 2000)
+    df = spark.createDataFrame([(1, words(rnd, 1500) + shared), (2, shared + words(rnd, 100)), (3, "tiny")], "doc_id long, text string").repartition(2)
+    got = {r.doc_id: r.n_removed for r in suffix_dedup.cut_repeats(df).collect()}
+    assert got[1] == got[3] == 0 and abs(got[2] - len(shared)) <= 50
+    assert {r.doc_id: r.n_tokens for r in lm_scoring.score_documents(df, PATH).collect()} == {r.doc_id: len(r.text.split()) + 1 for r in df.collect()}
+
+
+def test_beta_tail_quantiles(spark):
+    """The closed form against draws."""
+    rng = np.random.default_rng(5)
+    rows = [(float(a), float(b)) for a in (1, 2, 5, 40, 400) for b in (0.9, 3, 20, 900)]
+    for a, b, q in spark.createDataFrame(rows, "a double, b double").select("a", "b", url_filter.beta_tail(F.col("a"), F.col("b"))).collect():
+        assert abs(q - np.quantile(rng.beta(a, b, 400_000), 0.05)) < (0.02 if a < 5 else 0.006)
