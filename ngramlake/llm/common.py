@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 CHUNK_BYTES = 4 << 20
 #: Entries a Python worker keeps of its word cache before it starts afresh.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 200_000
 WORD_RE = r"[^\x20\x09-\x0D]+"
 
 
