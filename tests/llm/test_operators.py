@@ -303,6 +303,13 @@ def test_held_out_texts_score_better_than_by_word_counts(spark):
     assert held[0] > held[1]
 
 
+def test_hashes_squeeze_and_back():
+    x = np.sort(np.random.default_rng(1).integers(0, 1 << 64, 1000, np.uint64))
+    for part in (x, x[:1], x[:0]):
+        assert (lm_scoring.unsqueeze(lm_scoring.squeeze(part)) == part).all()
+    assert len(lm_scoring.squeeze(x)) < 7.4 * len(x)
+
+
 def test_ids_in_class_are_a_distribution():
     from ngramlake.llm import attention as att
 
@@ -593,7 +600,7 @@ def test_classes_read_every_training_text(spark):
     rnd = random.Random(8)
     texts = [(i, words(rnd, 30)) for i in range(400)] + [(400, None), (None, "one two three")]
     df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
-    chunks = common.to_chunks(df, "doc_id", "text", "t", lm_scoring._pack(PATH), names=("extra", "words"), keep=False)
+    chunks = common.to_chunks(df, "doc_id", "text", "t", lm_scoring._pack(PATH), names=("extra", "words", "names"), keep=False)
     encoder = common.WordEncoder.get(PATH)
     vocab, end = encoder.tokenizer.get_vocab_size(), encoder.tokenizer.token_to_id(lm_scoring.END_TEXT)
     rank = np.full(vocab, -1)
