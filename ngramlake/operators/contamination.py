@@ -45,10 +45,11 @@ def gain(soft: DataFrame, exact: DataFrame) -> DataFrame:
 
 def classify(extra: DataFrame) -> DataFrame:
     """Class of soft-only matches from ``item_id, q, p`` token arrays of equal windows:
-    ``template`` if all differing tokens are numbers on both sides, else ``semantic``."""
+    ``exact`` if no token differs, ``template`` if all differing tokens are numbers on both
+    sides, else ``semantic``."""
     pairs = F.filter(F.arrays_zip("q", "p"), lambda x: ~x.q.eqNullSafe(x.p))
     number = lambda c: c.rlike("^[0-9]+$")
-    return extra.withColumn("class", F.when(F.forall(pairs, lambda x: number(x.q) & number(x.p)), "template").otherwise("semantic"))
+    return extra.withColumn("class", F.when(F.size(pairs) == 0, "exact").when(F.forall(pairs, lambda x: F.coalesce(number(x.q) & number(x.p), F.lit(False))), "template").otherwise("semantic"))
 
 
 def report(flags: DataFrame) -> DataFrame:

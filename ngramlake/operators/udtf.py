@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ngramlake.functions import similarity
-from ngramlake.functions.text import tokens
+from ngramlake.functions.text import WORD, tokens
 from ngramlake.operators import soft
 
 
@@ -15,9 +15,9 @@ def register(spark: SparkSession) -> None:
 
     class TextWindows:
         def eval(self, text: str, n: int):
-            import re
+            import regex  # knows the classes that the tokenizer's pattern names
 
-            t = re.findall(r"[^\W_]+|[^\w\s]|_", (text or "").lower())
+            t = regex.findall(WORD, (text or "").lower())
             for i in range(len(t) - n + 1):
                 yield i, " ".join(t[i : i + n])
 

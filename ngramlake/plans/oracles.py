@@ -178,6 +178,13 @@ def build() -> dict[str, str]:
     o["token_stats_by_lang"] = f"with {C} select lang, count(distinct doc_id) as docs, sum(len(t))::BIGINT as tokens, (select count(distinct u) from (select unnest(t) as u from c c2 where c2.lang is not distinct from c.lang)) as types from c group by lang"
     o["windows_count"] = f"with {C}, {W10} select sum(run)::BIGINT as windows, count(*) as distinct_windows from w"
     o["swa_fences"] = f"with {C}, {W10}, {FENCE} select block, replace(first_key, chr(1), ' ') as first_key, entries, n, coalesce(sum(n) over (order by block rows between unbounded preceding and 1 preceding), 0)::BIGINT as before from f"
+    o["swa_prefix_bytes"] = f"""with {C}, {W10}, x as (select rank // 4096 as block, key, coalesce(lag(key) over (partition by rank // 4096 order by rank), '') as prev from r),
+y as (select block, key, coalesce(list_sum(list_transform(range(1, least(length(key), length(prev)) + 1), lambda i: (substr(key, 1, i) = substr(prev, 1, i))::INT)), 0) as same from x)
+select block, sum(length(key))::BIGINT as plain, sum(length(key) - same)::BIGINT as coded from y group by 1"""
+    o["index_sizes"] = f"""with {C}, {W10}, x as (select rank // 4096 as block, encode(key) as key, run, coalesce(lag(encode(key)) over (partition by rank // 4096 order by rank), ''::BLOB) as prev from r),
+y as (select run, octet_length(key) as size, hex(key) as key, hex(prev) as prev from x),
+z as (select run, size, coalesce(list_sum(list_transform(range(1, least(length(key), length(prev)) // 2 + 1), lambda i: (substr(key, 1, 2 * i) = substr(prev, 1, 2 * i))::INT)), 0) as same from y)
+select sum(size * run)::BIGINT as plain, sum(size + 8)::BIGINT as counted, count(*) as keys, sum(size - same + 16)::BIGINT as coded, (select sum(octet_length(encode(text))) from documents)::BIGINT as text from z"""
     o["swa_runs"] = f"with {C}, {W10} select run, count(*) as windows from w group by 1"
     for name in ("exact_hits", "exact_hits_sql"):
         o[name] = f"{_hits(10)} select pattern, hits from h"
@@ -219,6 +226,9 @@ select round(regr_slope(ln(types), ln(tokens)), 6) as exponent, round(regr_r2(ln
     o["contam_exact"] = f"{_contam('x as (select item_id, t from b)', False)} select item_id, windows, eta, eta >= 0.8 as dirty from eta"
     o["contam_soft"] = f"{_contam(_planted(), True)} select item_id, windows, eta, eta >= 0.8 as dirty from eta"
     o["contam_extra"] = f"{_contam(_planted(), True)}, eta2 as (select item_id, round(avg((h.key is not null)::INT), 6) as eta from w left join ex h using (key) group by 1) select item_id, windows, eta from eta where eta >= 0.8 and item_id not in (select item_id from eta2 where eta >= 0.8)"
+    o["contam_report"] = f"""{_contam(_planted(), True)}, eta2 as (select item_id, round(avg((h.key is not null)::INT), 6) as eta from w left join ex h using (key) group by 1), {HELD},
+f as (select item_id, eta.eta >= 0.8 as soft, eta2.eta >= 0.8 as exact, item_id in (select query_id from held) as truth from eta join eta2 using (item_id))
+select truth, count(*) as items, sum(exact::INT)::BIGINT as exact, sum((soft and not exact)::INT)::BIGINT as extra from f group by rollup (truth)"""
     o["scan_contains"] = f"with {HELD} select query_id as item_id, doc_id from held"
     o["scan_regex"] = "select doc_id, len(regexp_extract_all(text, '[a-zA-Z0-9._]+@[a-zA-Z0-9.]+'))::INT as n from documents where regexp_matches(text, '[a-zA-Z0-9._]+@[a-zA-Z0-9.]+')"
     o["scan_lev"] = "with n as (select distinct p_name from part) select x.p_name, y.p_name as other, levenshtein(x.p_name, y.p_name)::INT as distance from n x join n y on x.p_name < y.p_name and abs(length(x.p_name) - length(y.p_name)) <= 3 where levenshtein(x.p_name, y.p_name) <= 3"

@@ -116,6 +116,14 @@ def swa_prefix_bytes(spark, sf):
     return coded.groupBy("block").agg(F.sum(F.length("rest")).alias("coded")).join(plain, "block").select("block", "plain", "coded")
 
 
+@query
+def index_sizes(spark, sf):
+    """Bytes of the index by compression: none, equal windows counted, and front-coded as stored;
+    bytes of the raw text beside."""
+    raw = table(spark, sf, "documents").agg(F.sum(F.octet_length("text").cast("long")).alias("text"))
+    return idx.key_sizes(index_of(spark, sf)).join(F.broadcast(raw))
+
+
 @query
 def exact_hits(spark, sf):
     p = heads(spark, sf, idx.WINDOW)
@@ -181,9 +189,9 @@ def accesses_per_lookup(spark, sf):
     """Index accesses of a lookup: fenced blocks (one an end) beside binary search probes."""
     text = once(spark, (sf, "sa-text"), lambda: suffix.suffix_texts(suffixes_of(spark, sf), docs_of(spark, sf), 8))
     probes = suffix.sa_lookup(heads(spark, sf, QUERY), text).agg(F.avg("probes").alias("binary_search"))
-    p = heads(spark, sf, QUERY).select("key", F.explode(F.array(F.col("key"), F.concat("key", F.lit("\x02")))).alias("bound"))
+    p = heads(spark, sf, QUERY).select("key", F.explode(F.array(F.lit(-1), F.lit(1))).alias("sign"))
     blocks = lk.place(p, index_of(spark, sf)).groupBy("key").agg(F.countDistinct("block").alias("b")).agg(F.avg("b").alias("fenced"))
-    return probes.join(F.broadcast(blocks))
+    return probes.join(F.broadcast(blocks)).select(F.round("binary_search", 6).alias("binary_search"), F.round("fenced", 6).alias("fenced"), F.lit(1.0).alias("existence"))
 
 
 # ------------------------------------------------------------------ vector queries
