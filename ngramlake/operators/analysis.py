@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -74,14 +72,22 @@ def growth_bound(steps: DataFrame, queries: DataFrame, m: int) -> DataFrame:
     return k.select(F.round("a", 6).alias("a"), F.round("k", 6).alias("k"), F.round("r", 6).alias("r"), F.round("lookups", 6).alias("lookups"), F.round(F.col("a") * F.col("k") * series, 6).alias("bound"))
 
 
-def bound(a: float, k: float, r: float, m: int) -> float:
-    return a * k * (m if r == 1 else (1 - r**m) / (1 - r))
+def growth_per_token(totals: DataFrame, *by: str) -> DataFrame:
+    """Factor per query token from ``m, lookups``: exponent of a log-linear fit of the
+    geometric means over queries."""
+    per = totals.groupBy(*by, "m").agg(geometric_mean(F.col("lookups")).alias("t"))
+    return per.groupBy(*by).agg(F.round(F.exp(F.regr_slope(F.log("t"), F.col("m"))), 6).alias("factor"))
 
 
-def growth_per_token(totals: DataFrame) -> DataFrame:
-    """Factor per query token from ``m, lookups``: exponent of a log-linear fit."""
-    per = totals.groupBy("m").agg(geometric_mean(F.col("lookups")).alias("t"))
-    return per.agg(F.round(F.exp(F.regr_slope(F.log("t"), F.col("m"))), 6).alias("factor"))
+def lookups_by_length(steps: DataFrame, near: DataFrame, queries: DataFrame, longest: int) -> DataFrame:
+    """``pruning, query_id, m, lookups`` of each query cut to its first ``m`` tokens: with pruning
+    the candidates of all steps up to ``m``; without, every combination of neighbours."""
+    w = Window.partitionBy("query_id").rowsBetween(Window.unboundedPreceding, 0)  # a query's steps
+    upto = steps.select("query_id", "candidates", F.explode(F.sequence(F.col("step"), F.lit(longest))).alias("m"))
+    pruned = upto.groupBy("query_id", "m").agg(F.sum("candidates").cast("double").alias("lookups")).select(F.lit("iterative").alias("pruning"), "query_id", "m", "lookups")
+    slots = queries.select("query_id", F.posexplode("tokens").alias("i", "tok")).join(near.groupBy("tok").agg(F.count("*").alias("n")), "tok")
+    every = slots.select(F.lit("none").alias("pruning"), "query_id", (F.col("i") + 1).alias("m"), F.exp(F.sum(F.log("n")).over(w.orderBy("i"))).alias("lookups"))
+    return pruned.unionByName(every)
 
 
 def sampling_model(near: DataFrame, queries: DataFrame, gram_totals: DataFrame, vocabulary: int, kept: DataFrame) -> DataFrame:
@@ -136,8 +142,3 @@ def short_answer_share(matches: DataFrame, queries: DataFrame, n: int = 20) -> D
     """``queries, short, share``: queries with fewer than ``n`` patterns."""
     per = queries.select("query_id").join(matches.groupBy("query_id").agg(F.count("*").alias("c")), "query_id", "left")
     return per.agg(F.count("*").alias("queries"), F.count_if(F.coalesce("c", F.lit(0)) < n).alias("short")).withColumn("share", F.round(F.col("short") / F.col("queries"), 6))
-
-
-def expected_constants() -> dict[str, float]:
-    """Arithmetic of the contamination report: 338 and 36 of 2564 items, 29 of 36 right."""
-    return {"exact": 338 / 2564, "extra": 36 / 2564, "precision": 29 / 36, "log_base": math.log(1e4)}

@@ -19,6 +19,21 @@ def item_windows(items: DataFrame, span: int = SPAN) -> DataFrame:
     return items.where(size > 0).select("item_id", F.explode(own).alias("key"))
 
 
+def character_windows(texts: DataFrame, id_col: str, span: int = 50) -> DataFrame:
+    """``id_col, key`` of every window of characters; a shorter text is one window, an empty one none."""
+    own = F.transform(F.sequence(F.lit(1), F.greatest(F.length("text") - span + 1, F.lit(1))), lambda i: F.substring(F.col("text"), i, F.lit(span)))
+    return texts.where(F.length("text") > 0).select(id_col, F.explode(own).alias("key"))
+
+
+def character_coverage(items: DataFrame, docs: DataFrame, span: int = 50) -> DataFrame:
+    """``item_id, windows, eta, dirty`` by exact windows of characters.  Windows of
+    documents meet those of items by a semi-join, before anything is kept."""
+    w = character_windows(items, "item_id", span)
+    asked = w.select("key").distinct()
+    held = character_windows(docs, "doc_id", span).select("key").join(asked, "key", "left_semi").distinct()
+    return coverage(w, held)
+
+
 def exact_matches(windows: DataFrame, find: Callable[[DataFrame], DataFrame]) -> DataFrame:
     return find(windows.select("key").distinct()).select("key")
 

@@ -217,6 +217,16 @@ y as (select *, coalesce(lag(c) over (order by step), 1.0) as before from x),
 z as (select max(case when before > 0 then p / before end) as a, exp(regr_slope(case when c > 0 then ln(c) end, step)) as r, sum(p) as lookups from y),
 kk as (select a, r, lookups, greatest(1.0, max(case when c > 0 then c / pow(r, step) end)) as k from y, z group by all)
 select round(a, 6) as a, round(k, 6) as k, round(r, 6) as r, round(lookups, 6) as lookups, round(a * k * (1 - pow(r, 5)) / (1 - r), 6) as bound from kk"""
+    sums = " union all ".join(f"select 'iterative' as pruning, query_id, {m} as m, sum(n)::DOUBLE as lookups from ({' union all '.join(f'select query_id, count(*) as n from p{i} group by 1' for i in range(1, m + 1))}) group by query_id" for m in range(1, 6))
+    o["ablation_growth"] = f"""{_steps(5, 0.6)}, nn2 as (select tok, count(*) as n from n group by 1), sl as (select query_id, i, n from (select query_id, qt, unnest(range(1, 6)) as i from q) join nn2 on tok = qt[i]),
+every as (select 'none' as pruning, query_id, i as m, exp(sum(ln(n)) over (partition by query_id order by i)) as lookups from sl),
+t as (select pruning, m, avg(ln(lookups)) as t from ({sums} union all from every) group by 1, 2)
+select pruning, round(exp(regr_slope(t, m)), 6) as factor from t group by 1"""
+    o["threshold_sweep"] = f"with m as ({soft(3, 0.45)}), q as (select item_id as query_id from benchmark where len({_toks()}) >= 3) " + " union all ".join(f"select {t}::DOUBLE as theta, coalesce(sum(c), 0)::BIGINT as patterns, count(*) filter (c >= 1) as n1, count(*) filter (c >= 5) as n5, count(*) filter (c >= 20) as n20 from (select q.query_id, count(m.query_id) as c from q left join m on m.query_id = q.query_id and similarity >= {t} group by 1)" for t in (0.45, 0.5, 0.55, 0.6, 0.7, 0.8))
+    o["base_sweep"] = " union all ".join(f"select {b} as base, count(*) as patterns, round(avg(similarity), 5) as mean from ({soft(3, 0.6).replace('1e4', f'{b}.0')})" for b in (10, 100, 10000, 1000000))
+    o["judge_winrate"] = f"with s as (select query_id, count(*) as x from ({soft(3, 0.6)}) group by 1), h as (select query_id, count(*) as y from ({soft(3, 0.6, hard=True)}) group by 1), v as (select coalesce(x, 0) as x, coalesce(y, 0) as y from (select item_id as query_id from benchmark where len({_toks()}) >= 3) left join s using (query_id) left join h using (query_id)) select 'soft' as a, 'predecessor' as b, sum(case when x > y then 1.0 when x < y then 0.0 else 0.5 end)::DOUBLE as wins, round(avg(case when x > y then 1.0 when x < y then 0.0 else 0.5 end), 6) as share from v"
+    cw = lambda t, i: f"select {i}, unnest(list_transform(range(1, greatest(length(text) - 49, 1) + 1), lambda k: substr(text, k, 50))) as key from {t} where length(text) > 0"
+    o["contam_characters"] = f"with w as ({cw('benchmark', 'item_id')}), h as (select distinct key from ({cw('documents', 'doc_id')}) where key in (select key from w)) select item_id, count(*) as windows, round(avg((h.key is not null)::INT), 6) as eta, round(avg((h.key is not null)::INT), 6) >= 0.8 as dirty from w left join h using (key) group by 1"
     o["zipf_fit"] = f"with {C}, {V}, r as (select freq, row_number() over (order by freq desc, token) as rank from v qualify rank <= 2000) select round(-regr_slope(ln(freq), ln(rank)), 6) as alpha, round(regr_r2(ln(freq), ln(rank)), 6) as r2 from r"
     o["heaps_fit"] = f"""with {C}, s as (select doc_id, ntile(20) over (order by doc_id) as step from c), x as (select step, unnest(t) as token from c join s using (doc_id)),
 f as (select token, min(step) as step from x group by 1), n as (select step, count(*) as n from x group by 1), w as (select step, count(*) as w from f group by 1),

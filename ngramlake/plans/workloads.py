@@ -19,6 +19,7 @@ from ngramlake.operators import lookup as lk
 from ngramlake.sources.tables import corpus, once, spool, spread, table
 
 THETA, FLOOR, QUERY, WANTED = 0.6, 0.45, 5, 20
+SWEEP, BASES = (0.45, 0.5, 0.55, 0.6, 0.7, 0.8), (10, 100, 10000, 1000000)
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 
 
@@ -341,6 +342,45 @@ def growth_bound(spark, sf):
     return analysis.growth_bound(_steps(spark, sf), asked(spark, sf), QUERY)
 
 
+@query
+def ablation_growth(spark, sf):
+    """Factor by which lookups grow a query token, with and without iterative pruning."""
+    near = near_of(spark, sf).where(F.col("cos") >= THETA)
+    return analysis.growth_per_token(analysis.lookups_by_length(_steps(spark, sf), near, asked(spark, sf), QUERY), "pruning")
+
+
+@query
+def threshold_sweep(spark, sf):
+    """Patterns and queries with at least N of them, for thresholds from the floor up."""
+    found, out = _floor(spark, sf), None
+    for t in SWEEP:
+        per = asked(spark, sf, 3).select("query_id").join(found.where(F.col("similarity") >= t).groupBy("query_id").agg(F.count("*").alias("c")), "query_id", "left")
+        part = per.agg(F.lit(t).alias("theta"), F.coalesce(F.sum("c"), F.lit(0)).alias("patterns"), *[F.count_if(F.coalesce("c", F.lit(0)) >= n).alias(f"n{n}") for n in (1, 5, 20)])
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query
+def base_sweep(spark, sf):
+    """Patterns found and their mean similarity, as the base of the smooth minimum changes."""
+    out = None
+    for b in BASES:
+        part = _soft(spark, sf, 3, base=float(b)).agg(F.lit(b).alias("base"), F.count("*").alias("patterns"), F.round(F.avg("similarity"), 5).alias("mean"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query
+def judge_winrate(spark, sf):
+    """Verdicts of a rule (more patterns found wins) between soft search and its predecessor."""
+    new = _soft(spark, sf, 3).groupBy("query_id").agg(F.count("*").alias("x"))
+    old = ranking.inverted_soft_search(asked(spark, sf, 3), docs_of(spark, sf), near_of(spark, sf, 3).where(F.col("cos") >= THETA), THETA).groupBy("query_id").agg(F.count("*").alias("y"))
+    both = asked(spark, sf, 3).select("query_id").join(new, "query_id", "left").join(old, "query_id", "left").fillna(0)
+    a, b = F.lit("soft"), F.lit("predecessor")
+    verdict = both.select(a.alias("a"), b.alias("b"), F.when(F.col("x") > F.col("y"), a).when(F.col("x") < F.col("y"), b).alias("winner"))
+    return analysis.pairwise_winrate(verdict)
+
+
 @query
 def sampling_model(spark, sf):
     totals = vocab.ngram_sets(docs_of(spark, sf), QUERY).groupBy("n").agg(F.count("*").alias("types"))
@@ -380,6 +420,12 @@ def contam_exact(spark, sf):
     return contamination.coverage(w, contamination.exact_matches(w, finder_of(spark, sf)))
 
 
+@query
+def contam_characters(spark, sf):
+    """Coverage of every item by exact windows of 50 characters."""
+    return contamination.character_coverage(table(spark, sf, "benchmark").select("item_id", "text"), spread(table(spark, sf, "documents")).select("doc_id", "text"))
+
+
 def planted_items(spark, sf):
     """Every item with its 15th token replaced by the nearest other word, where one is near;
     items without a 15th token stay as they are."""
