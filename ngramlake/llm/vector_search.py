@@ -195,10 +195,10 @@ def nearest(
     rows = usable(vectors, id_col, vec)
     n = rows.count()
     kind = "block long, d int, ids binary, x binary"
-    index = spool(rows.repartition(max(1, -(-n // shard_rows)), F.xxhash64("vec_id")).mapInArrow(_pack(2 * shard_rows), kind), "vector-shards")
+    index = spool(rows.repartition(max(1, -(-n // shard_rows))).mapInArrow(_pack(2 * shard_rows), kind), "vector-shards")
     shards, buckets = max(1, index.count()), n_buckets(spark)
     lanes = -(-buckets // shards)
-    asked = rows.where(F.col("vec_id") % every == 0).repartition(max(1, lanes, -(-n // (every * QUERY_ROWS))), F.xxhash64("vec_id"))
+    asked = rows.where(F.col("vec_id") % every == 0).repartition(max(1, lanes, -(-n // (every * QUERY_ROWS))))
     asked = asked.mapInArrow(_pack(QUERY_ROWS), kind)
     held = index.select("block", "d", F.explode(F.sequence(F.lit(0), F.lit(lanes - 1))).alias("lane"), F.lit(0).alias("kind"), "ids", "x")
     # by length; ids and lengths of shards only, one row for ``shard_rows`` vectors
