@@ -39,3 +39,11 @@ def test_neighbours_are_broadcast(spark, sf):
 
     plan = registry.QUERIES["soft_sub"](spark, sf)._jdf.queryExecution().toString()
     assert "CartesianProduct" not in plan
+
+
+def test_every_statement_reads_a_table():
+    from ngramlake.plans import relational
+
+    for name, made in relational.STATEMENTS.items():
+        for statement in (made,) if isinstance(made, str) else made:
+            assert relational._tables(statement), name
