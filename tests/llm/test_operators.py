@@ -690,3 +690,34 @@ def test_beta_tail_quantiles(spark):
     for a, b, q in spark.createDataFrame(rows, "a double, b double").select("a", "b", url_filter.beta_tail(F.col("a"), F.col("b"))).collect():
         true = np.quantile(rng.beta(a, b, 400_000), 0.05)
         assert q < true + 0.006 and (b < 1 or true - q < (0.02 if a < 5 else 0.006))  # few good pages: too low, never too high
+
+
+def test_every_training_window_is_in_one_step(monkeypatch):
+    """First weights come from pairs of all training texts; each of their windows is then descended once."""
+    from ngramlake.llm import attention as att
+
+    rnd = random.Random(5)
+    texts = [" ".join(rnd.choice(["sun", "moon", "sea", "of", "and"]) for _ in range(rnd.randint(0, 90))).encode() for _ in range(1500)]
+    encoder = common.WordEncoder.get(PATH)
+    vocab, end = encoder.tokenizer.get_vocab_size(), encoder.tokenizer.token_to_id(lm_scoring.END_TEXT)
+    rows, want, before, passed = [], [], {}, 0
+    for c, lo in enumerate((0, 700, 710)):
+        part, ids = texts[lo : (700, 710, 1500)[c]], np.arange(lo, (700, 710, 1500)[c])
+        rows.append({"chunk": c, "ids": ids.tobytes(), "known": np.ones(len(ids), np.uint8).tobytes(), "extra": lm_scoring._pack(PATH)(part)[0]})
+        x, starts = lm_scoring._subwords(encoder, [t for i, t in zip(ids.tolist(), part, strict=True) if not lm_scoring.held_out(i)], end)
+        a, real, *_ = att.windows(x, starts)
+        want += [tuple(np.where(r, k, -1)) for k, r in zip(a, real, strict=True)]
+        before[c], passed = passed, passed + len(a)
+    seen = []
+    monkeypatch.setattr(att, "step", lambda w, m, t, ids, real, *a: seen.extend(tuple(np.where(r, k, -1)) for k, r in zip(ids, real, strict=True)))
+    of = np.concatenate([[0], 1 + np.arange(vocab - 1) % (att.CLASSES - 1)])
+    (got,) = lm_scoring._refine(of, att.flatten(att.fresh()), vocab, before)([lm_scoring.pa.RecordBatch.from_pylist(rows)])
+    assert sorted(seen) == sorted(want) and got.column(1)[0].as_py() >= len(want) // lm_scoring.BATCH
+    # the start: the class after a class as often as pairs say
+    rank = np.full(vocab, -1)
+    rank[:3] = np.arange(3)
+    pairs = np.zeros((lm_scoring.TOP, lm_scoring.TOP), np.float32)
+    pairs[1, 2], pairs[2, 1], pairs[2, 2] = 1000, 250, 750
+    w = lm_scoring.first_weights(of, rank, pairs)
+    p = np.exp(w["by_class"][of[2]] @ w["u"] + w["b"])
+    assert p[of[1]] / p.sum() == pytest.approx(0.25, abs=0.01) and p[of[2]] / p.sum() == pytest.approx(0.75, abs=0.01)
