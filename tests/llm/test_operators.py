@@ -721,3 +721,51 @@ def test_every_training_window_is_in_one_step(monkeypatch):
     w = lm_scoring.first_weights(of, rank, pairs)
     p = np.exp(w["by_class"][of[2]] @ w["u"] + w["b"])
     assert p[of[1]] / p.sum() == pytest.approx(0.25, abs=0.01) and p[of[2]] / p.sum() == pytest.approx(0.75, abs=0.01)
+
+
+def test_every_training_id_is_one_goal(monkeypatch):
+    """Windows overlap, yet each id but a text's first is descended once, ends included; gradients are those of the loss."""
+    from ngramlake.llm import attention as att
+
+    rng = np.random.default_rng(2)
+    of = np.concatenate([[0], 1 + np.arange(299) % (att.CLASSES - 1)])
+    ids, starts = rng.integers(0, 300, 700), np.array([0, 130, 132, 700])
+    x, real, goal, use, _ = att.windows(ids, starts)
+    goals, step = [], att.step
+
+    def seen(w, m, t, ids, real, goal, use, *a):
+        goals.extend(goal[use].tolist())
+        return step(w, m, t, ids, real, goal, use, *a)
+
+    monkeypatch.setattr(att, "step", seen)
+    assert lm_scoring.train_steps(att.fresh(), {}, 0, x, real, goal, use, of, 3, 0.002) == 3
+    assert sorted(goals) == sorted(np.delete(ids, starts[:-1]).tolist())
+    w = {k: v * np.float32(3) for k, v in att.fresh().items()}
+    loss = lambda: -att.class_log_probs(w, x, real, goal, of)[use].mean(dtype=np.float64)
+    mean, g = att._gradients(w, x, real, goal, use, of, int(use.sum()))
+    assert mean == pytest.approx(loss(), rel=1e-4)
+    for name in att.NAMES:  # along its own gradient
+        d, kept = g[name] / np.abs(g[name]).max() * np.float32(0.02), w[name]
+        w[name] = kept + d
+        up = loss()
+        w[name] = kept - d
+        assert up - loss() == pytest.approx(2 * float((d * g[name]).sum()), rel=0.05)
+        w[name] = kept
+
+
+def test_chunks_hold_the_ids_and_words_of_their_texts():
+    from xxhash import xxh3_64_intdigest
+
+    rnd = random.Random(6)
+    texts = [" ".join(rnd.choice(["Sun", "sun", "moon!", "señor,", "x1", "..", "été", " a", "B"]) for _ in range(rnd.randint(0, 40))).encode() for _ in range(50)] + [b"", b" \t", b"A"]
+    encoder = common.WordEncoder.get(PATH)
+    end = encoder.tokenizer.token_to_id(lm_scoring.END_TEXT)
+    extra, words, names = lm_scoring._pack(PATH)(texts)
+    ids, starts = lm_scoring._open(extra, 1, encoder.tokenizer.get_vocab_size())
+    codes, size = lm_scoring._open_words(words)
+    hashes, at = lm_scoring.unsqueeze(names)[codes].tolist(), 0
+    for k, t in enumerate(texts):
+        assert ids[starts[k] : starts[k + 1]].tolist() == [end, *encoder.tokenizer.encode(t.decode(), add_special_tokens=False).ids, end]
+        assert hashes[at : at + size[k]] == [xxh3_64_intdigest(w) for w in [*t.lower().split(), b""]]
+        at += size[k]
+    assert at == len(hashes)
