@@ -769,3 +769,63 @@ def test_chunks_hold_the_ids_and_words_of_their_texts():
         assert hashes[at : at + size[k]] == [xxh3_64_intdigest(w) for w in [*t.lower().split(), b""]]
         at += size[k]
     assert at == len(hashes)
+
+
+def test_graphs_give_the_sums_of_numpy(monkeypatch):
+    """The graphs against the reference forms, first and last windows of texts and logits that overflow included."""
+    from ngramlake.llm import attention as att
+    from ngramlake.llm import graphs
+
+    assert att.loops()[0] is graphs.gradients
+    rng = np.random.default_rng(4)
+    of = np.concatenate([[0], 1 + np.arange(299) % (att.CLASSES - 1)])
+    ids, starts = rng.integers(0, 300, 900), np.array([0, 2, 130, 133, 900])
+    x, real, goal, use, _ = att.windows(ids, starts)
+    for scale in (1, 3, 60):
+        w = {k: v * np.float32(scale) for k, v in att.fresh().items()}
+        assert np.allclose(graphs.class_log_probs(w, x, real, goal, of)[use], att.class_log_probs(w, x, real, goal, of)[use], rtol=1e-3, atol=1e-4)
+        (loss, g), (mean, d) = (f(w, x, real, goal, use, of, int(use.sum())) for f in (graphs.gradients, att._gradients))
+        assert loss == pytest.approx(mean, rel=1e-3) and g.keys() == d.keys()
+        for name in att.NAMES if scale < 60 else ():
+            assert g[name].shape == d[name].shape and np.abs(g[name] - d[name]).max() < 1e-3 * np.abs(d[name]).max()
+    # without onnxruntime the numpy forms do the same steps
+    made = []
+    for there in (True, False):
+        monkeypatch.setattr(att, "find_spec", lambda name: there or None)
+        att.loops.cache_clear()
+        w, m = att.fresh(), {}
+        lm_scoring.train_steps(w, m, 0, x, real, goal, use, of, 4, 0.002)
+        made.append(w)
+    att.loops.cache_clear()
+    assert all(np.allclose(made[0][k], made[1][k], atol=1e-4) for k in att.NAMES)
+
+
+def test_graphs_take_less_time_than_numpy():
+    """A step over 256 windows, own processor time, the best of many."""
+    import time
+
+    from ngramlake.llm import attention as att
+    from ngramlake.llm import graphs
+
+    att.one_thread()
+    rng = np.random.default_rng(4)
+    of = np.concatenate([[0], 1 + np.arange(299) % (att.CLASSES - 1)])
+    x, real, goal, use, _ = att.windows(rng.integers(0, 300, 256 * att.STRIDE + 1), np.array([0, 256 * att.STRIDE + 1]))
+    took = {}
+    for f in (graphs.gradients, att._gradients):
+        for _ in range(20):
+            at = time.process_time()
+            f(att.fresh(), x, real, goal, use, of, int(use.sum()))
+            took[f] = min(took.get(f, 9), time.process_time() - at)
+    assert took[graphs.gradients] < 0.8 * took[att._gradients]
+
+
+def test_words_get_the_ids_of_the_whole_tokenizer():
+    """Words met together, in any form, and after the cache began afresh; what the next call asks for is kept."""
+    words = ["Sun", "sun", "SUN!", "...", ".", "a.b", "x1", "señor,", "ÉTÉ", "ĦA", "İstanbul", "ǅ", "ΣΑΣ", "ΑΣ.", "straße", "ẞ", "日本", "a b", " ", "don't", "--", "(word)", "word)", "�"]
+    raw = [*(w.encode() for w in words), b"\xff", b"ab\xc3"]
+    encoder = common.WordEncoder(PATH)
+    want = [np.array(encoder.tokenizer.encode(w.decode("utf-8", "replace"), add_special_tokens=False).ids, "<u4").tobytes() for w in raw]
+    assert encoder.encode_words(raw, 10) == want and encoder.encode_words([], 10) == []
+    assert encoder.encode_words([b"new", *raw[:5]], 10)[1:] == want[:5] and set(encoder.cache) == {b"new", *raw[:5]}
+    assert common.WordEncoder(PATH).encode_all([b" ".join(raw), b"", raw[0]]) == [b"".join(want), b"", want[0]]
