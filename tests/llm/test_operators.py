@@ -821,11 +821,24 @@ def test_graphs_take_less_time_than_numpy():
 
 
 def test_words_get_the_ids_of_the_whole_tokenizer():
-    """Words met together, in any form, and after the cache began afresh; what the next call asks for is kept."""
-    words = ["Sun", "sun", "SUN!", "...", ".", "a.b", "x1", "señor,", "ÉTÉ", "ĦA", "İstanbul", "ǅ", "ΣΑΣ", "ΑΣ.", "straße", "ẞ", "日本", "a b", " ", "don't", "--", "(word)", "word)", "�"]
+    """Words met together, in any form."""
+    words = ["Sun", "sun", "SUN!", "...", ".", "a.b", "x1", "señor,", "ÉTÉ", "ĦA", "İstanbul", "ǅ", "ΣΑΣ", "ΑΣ.", "straße", "ẞ", "日本", "a\u00a0b", "\u2003", "don't", "--", "(word)", "word)", "\ufffd"]
     raw = [*(w.encode() for w in words), b"\xff", b"ab\xc3"]
     encoder = common.WordEncoder(PATH)
     want = [np.array(encoder.tokenizer.encode(w.decode("utf-8", "replace"), add_special_tokens=False).ids, "<u4").tobytes() for w in raw]
-    assert encoder.encode_words(raw, 10) == want and encoder.encode_words([], 10) == []
-    assert encoder.encode_words([b"new", *raw[:5]], 10)[1:] == want[:5] and set(encoder.cache) == {b"new", *raw[:5]}
-    assert common.WordEncoder(PATH).encode_all([b" ".join(raw), b"", raw[0]]) == [b"".join(want), b"", want[0]]
+    assert encoder.encode_words(raw) == want and encoder.encode_words(raw[:5]) == want[:5] and encoder.encode_words([]) == []
+    assert encoder.encode_all([b" ".join(raw), b"", raw[0]]) == [b"".join(want), b"", want[0]]
+
+
+def test_chunks_after_words_were_forgotten(monkeypatch):
+    """A worker that keeps few words makes the same chunks as one that keeps all."""
+    rnd = random.Random(12)
+    chunks = [[" ".join(rnd.choice("sun SUN moon! sea, señor x1 of".split()) + rnd.choice("abc") for _ in range(rnd.randint(0, 9))).encode() for _ in range(rnd.randint(0, 12))] for _ in range(30)]
+    made = []
+    for most in (1 << 30, 12, 0):
+        monkeypatch.setattr(lm_scoring, "CACHE", most)
+        monkeypatch.setattr(lm_scoring.Met, "_own", {})
+        made.append([lm_scoring._pack(PATH)(c) for c in chunks])
+        (met,) = lm_scoring.Met._own.values()
+        assert len(met.code) == len(met.many) == len(met.hashes) and (len(met.code) > 12) == (most > 12 or len(set(b" ".join(chunks[-1]).split())) > 12)
+    assert made[0] == made[1] == made[2]
