@@ -842,3 +842,5 @@ def test_chunks_after_words_were_forgotten(monkeypatch):
         (met,) = lm_scoring.Met._own.values()
         assert len(met.code) == len(met.many) == len(met.hashes) and (len(met.code) > 12) == (most > 12 or len(set(b" ".join(chunks[-1]).split())) > 12)
     assert made[0] == made[1] == made[2]
+    lm_scoring._pack(PATH).done()  # when a task ends, nothing is kept
+    assert not lm_scoring.Met._own and not common.WordEncoder.get(PATH).words
